@@ -195,8 +195,10 @@ def flagged_keys(docs: DataFrame, n_buckets: int | None = None, width: int = WID
     return merge_runs(runs_of(docs, n, width)).select("doc_id", "keys")
 
 
-def remove_flagged(docs: DataFrame, flags: DataFrame, keep: list[str], width: int = WIDTH) -> DataFrame:
-    """The kept columns, n_words, n_removed, kept (the words left, joined by blanks) of each document row.
+def remove_flagged(docs: DataFrame, flags: DataFrame, keep: list[str], width: int = WIDTH, original: bool = False) -> DataFrame:
+    """The kept columns, _n_words, _n_removed, _kept (the words left, joined by blanks; null for a null text) of each row.
+
+    original: with _original, the text as it was, for rows that lose nothing (they then have no _kept).
 
     Texts are compressed before they meet their flags, as they are the larger side of the exchange.
     """
@@ -217,9 +219,10 @@ def remove_flagged(docs: DataFrame, flags: DataFrame, keep: list[str], width: in
         large, fingerprints = zstandard.ZstdDecompressor(), Fingerprints(width)
         for whole in batches:
             for batch in (whole.slice(i, 256) for i in range(0, whole.num_rows, 256)):
-                counts, removed, texts = [], [], []
+                counts, removed, texts, untouched = [], [], [], []
                 for data, blobs in zip(batch.column("_packed").to_pylist(), batch.column("_keys").to_pylist(), strict=True):
-                    words = large.decompress(data).split() if data is not None else []
+                    raw = large.decompress(data) if data is not None else b""
+                    words = raw.split()
                     counts.append(len(words))
                     gone = np.zeros(len(words), bool)
                     if blobs:
@@ -230,10 +233,15 @@ def remove_flagged(docs: DataFrame, flags: DataFrame, keep: list[str], width: in
                         np.add.at(edges, hit + width, -1)
                         gone = np.cumsum(edges)[:-1] > 0
                     removed.append(int(gone.sum()))
-                    texts.append(b" ".join(words if not removed[-1] else [w for w, g in zip(words, gone.tolist(), strict=True) if not g]).decode() if data is not None else None)
-                yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), pa.array(counts, pa.int64()), pa.array(removed, pa.int64()), pa.array(texts, pa.string())], [*keep, "_n_words", "_n_removed", "_kept"])
-
-    return met.mapInArrow(cut, met.select(*keep).schema.add("_n_words", "long").add("_n_removed", "long").add("_kept", "string"))
+                    if removed[-1]:
+                        words = [w for w, g in zip(words, gone.tolist(), strict=True) if not g]
+                    whole_text = original and not removed[-1]
+                    texts.append(None if data is None or whole_text else b" ".join(words).decode())
+                    untouched.append(raw.decode() if whole_text and data is not None else None)
+                columns = [pa.array(counts, pa.int64()), pa.array(removed, pa.int64()), pa.array(texts, pa.string()), pa.array(untouched, pa.string())]
+                yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), *columns], [*keep, "_n_words", "_n_removed", "_kept", "_original"])
+
+    return met.mapInArrow(cut, met.select(*keep).schema.add("_n_words", "long").add("_n_removed", "long").add("_kept", "string").add("_original", "string"))
 
 
 class SubstringIndex:
