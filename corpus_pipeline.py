@@ -10,7 +10,7 @@ from multiway.llm.common import stored, table
 from multiway.llm.decontaminate import without_contaminated
 from multiway.llm.neardup import keep_one
 from multiway.llm.quality import fit_quality, score_quality
-from multiway.llm.substring import flagged_keys, remove_flagged
+from multiway.llm.substring import dedup_batch
 from multiway.session import ship
 
 
@@ -34,7 +34,7 @@ def substring_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     """
     ship(spark)
     others = [c for c in docs.columns if c != "text"]
-    out = remove_flagged(docs, flagged_keys(docs), others, original=True)
+    out = dedup_batch(docs, others, original=True)
     text = F.when(F.col("_n_removed") > 0, F.col("_kept")).otherwise(F.col("_original"))
     kept = out.filter((F.col("_n_removed") == 0) | (F.col("_n_removed") < F.col("_n_words"))).withColumn("text", text)
     if "n_chars" in docs.columns:

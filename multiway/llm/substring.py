@@ -27,12 +27,13 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .common import MULTIPLIERS, WordHashes, mixed, sliced_texts, stored, table, window_hashes
 
 WIDTH = 13
 #: Text bytes of which one run is made.
-RUN_BYTES = 12 << 20
+RUN_BYTES = 8 << 20
 #: Runs that an index may have before they are compacted.
 FANOUT = 4
 
@@ -97,7 +98,7 @@ class Fingerprints:
     """Keys and checks of the windows of texts."""
 
     def __init__(self, width: int = WIDTH):
-        self.width, self.words = width, WordHashes()
+        self.width, self.words = width, WordHashes(room=200_000)
 
     def of(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
         hashes = self.words.of(words)
@@ -106,17 +107,29 @@ class Fingerprints:
         return keys, (other >> np.uint64(48)).astype(np.uint16)
 
 
-RUN_SCHEMA = "bucket int, doc_id long, fresh boolean, keys binary, checks binary, ids binary, places binary"
-_RUN_TYPES = [pa.int32(), pa.int64(), pa.bool_(), pa.binary(), pa.binary(), pa.binary(), pa.binary()]
-_RUN_NAMES = ["bucket", "doc_id", "fresh", "keys", "checks", "ids", "places"]
+RUN_SCHEMA = "bucket int, shard int, fresh boolean, keys binary, checks binary, ids binary, places binary"
+_RUN_TYPES = [pa.int32(), pa.int32(), pa.bool_(), pa.binary(), pa.binary(), pa.binary(), pa.binary()]
+_RUN_NAMES = ["bucket", "shard", "fresh", "keys", "checks", "ids", "places"]
 
 
-def _by_document(docs: np.ndarray, keys: np.ndarray) -> Iterator[tuple[int, bytes]]:
+def _flag_rows(docs: np.ndarray, keys: np.ndarray, n_shards: int, bucket: int | None = None) -> list[tuple]:
+    """Fingerprints to remove, packed into a row for each shard of documents: ids, how many keys each has, the keys.
+
+    A row for each document and bucket would be many times as many rows as documents.
+    """
     order = np.lexsort((keys, docs))
     docs, keys = docs[order], keys[order]
-    cuts = np.flatnonzero(np.diff(docs)) + 1
-    for d, part in zip(docs[np.concatenate([[0], cuts])] if len(docs) else [], np.split(keys, cuts), strict=False):
-        yield int(d), np.unique(part).tobytes()
+    fresh = np.concatenate([[True], (docs[1:] != docs[:-1]) | (keys[1:] != keys[:-1])]) if len(docs) else np.empty(0, bool)
+    docs, keys = docs[fresh], keys[fresh]
+    shard = (mixed(docs.view(np.uint64)) % np.uint64(n_shards)).astype(np.int64)
+    order = np.argsort(shard, kind="stable")
+    docs, keys, shard = docs[order], keys[order], shard[order]
+    rows, edges = [], np.searchsorted(shard, np.arange(n_shards + 1))
+    for s in np.flatnonzero(np.diff(edges)).tolist():
+        d, k = docs[edges[s] : edges[s + 1]], keys[edges[s] : edges[s + 1]]
+        ids, counts = np.unique(d, return_counts=True)
+        rows.append((-1 - s if bucket is None else bucket, s, True, k.tobytes(), None, pack_ids(ids), counts.astype(np.uint32).tobytes()))
+    return rows
 
 
 def _packed_run(bucket: int, fresh: bool, keys: np.ndarray, checks: np.ndarray, docs: np.ndarray) -> tuple:
@@ -132,7 +145,7 @@ def _unpacked_run(keys: bytes, checks: bytes, ids: bytes, places: bytes) -> tupl
 
 
 def runs_of(docs: DataFrame, n_buckets: int, width: int = WIDTH) -> DataFrame:
-    """Runs of a batch (doc_id is null) and, for each document, windows that a smaller one of its slice has (bucket < 0)."""
+    """Runs of a batch (shard is null) and, by shard of documents, windows that a smaller one of the slice has (bucket < 0)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         fingerprints, held, size = Fingerprints(width), [], 0
@@ -142,7 +155,7 @@ def runs_of(docs: DataFrame, n_buckets: int, width: int = WIDTH) -> DataFrame:
             order, k, c, d, starts, least = grouped(keys, checks, ids)
             first = np.repeat(least, np.diff(np.append(starts, len(k))))
             later = d > first
-            rows = [(-1 - doc % n_buckets, doc, True, blob, None, None, None) for doc, blob in _by_document(d[later], k[later])]
+            rows = _flag_rows(d[later], k[later], n_buckets)
             k, c = k[starts], c[starts]
             bucket = ((k >> np.uint64(32)) * np.uint64(n_buckets)) >> np.uint64(32)
             edges = np.searchsorted(bucket, np.arange(n_buckets + 1))
@@ -165,8 +178,8 @@ def runs_of(docs: DataFrame, n_buckets: int, width: int = WIDTH) -> DataFrame:
     return docs.filter("doc_id IS NOT NULL AND text IS NOT NULL").select("doc_id", "text").mapInArrow(run, RUN_SCHEMA)
 
 
-def merge_runs(runs: DataFrame, emit: str = "flags") -> DataFrame:
-    """Merge-join the runs of each bucket. emit: `flags` of new documents (doc_id, keys), the new `run`, or `both`."""
+def merge_runs(runs: DataFrame, n_buckets: int, emit: str = "flags") -> DataFrame:
+    """Merge-join the runs of each bucket. emit: `flags` of new documents by shard, or the new `run`."""
 
     def merge(group: pd.DataFrame) -> pd.DataFrame:
         if group["bucket"].iloc[0] < 0:
@@ -181,53 +194,59 @@ def merge_runs(runs: DataFrame, emit: str = "flags") -> DataFrame:
         if emit != "run":
             first = np.repeat(least, np.diff(np.append(starts, len(k))))
             later = (d > first) & np.concatenate(fresh)[order]
-            rows += [(bucket, doc, True, blob, None, None, None) for doc, blob in _by_document(d[later], k[later])]
-        if emit != "flags":
+            rows += _flag_rows(d[later], k[later], n_buckets, bucket)
+        else:
             rows.append(_packed_run(bucket, False, k[starts], c[starts], least))
         return pd.DataFrame(rows, columns=_RUN_NAMES)
 
     return runs.groupBy("bucket").applyInPandas(merge, RUN_SCHEMA)
 
 
-def flagged_keys(docs: DataFrame, n_buckets: int | None = None, width: int = WIDTH) -> DataFrame:
-    """doc_id and blobs of the fingerprints to remove, for a batch against an empty index."""
-    n = n_buckets or int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return merge_runs(runs_of(docs, n, width)).select("doc_id", "keys")
-
-
-def remove_flagged(docs: DataFrame, flags: DataFrame, keep: list[str], width: int = WIDTH, original: bool = False) -> DataFrame:
+def remove_flagged(docs: DataFrame, flags: DataFrame, n_shards: int, keep: list[str], width: int = WIDTH, original: bool = False) -> DataFrame:
     """The kept columns, _n_words, _n_removed, _kept (the words left, joined by blanks; null for a null text) of each row.
 
+    Flags and documents (texts compressed) meet by shard in one exchange: the flags of a shard come first and are held,
+    its documents stream past them. Rows without an id are spread by their text.
     original: with _original, the text as it was, for rows that lose nothing (they then have no _kept).
-
-    Texts are compressed before they meet their flags, as they are the larger side of the exchange.
     """
     import zstandard
 
     def shrink(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         small = zstandard.ZstdCompressor(1)
         for batch in sliced_texts(batches, "_text"):
-            packed = pa.array([None if t is None else small.compress(t.encode()) for t in batch.column("_text").to_pylist()], pa.binary())
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in [*keep, "_id"]), packed], [*keep, "_id", "_packed"])
-
-    chosen = docs.select(*keep, F.col("doc_id").alias("_id"), F.col("text").cast("string").alias("_text"))
-    packed = chosen.mapInArrow(shrink, chosen.drop("_text").schema.add("_packed", "binary"))
-    lists = flags.groupBy(F.col("doc_id").alias("_flagged")).agg(F.collect_list("keys").alias("_keys"))
-    met = packed.join(lists, F.col("_id") == F.col("_flagged"), "left").select(*keep, "_packed", "_keys")
+            texts = batch.column("_text").to_pylist()
+            packed = pa.array([None if t is None else small.compress(t.encode()) for t in texts], pa.binary())
+            ids = batch.column("_id").to_pylist()
+            places = mixed(np.array([len(t or "") if i is None else i for i, t in zip(ids, texts, strict=True)], np.int64).view(np.uint64))
+            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), batch.column("_id"), pa.array((places % np.uint64(n_shards)).astype(np.int32)), packed], [*keep, "_id", "_shard", "_packed"])
+
+    chosen = docs.select(*keep, F.col("doc_id").cast("long").alias("_id"), F.col("text").cast("string").alias("_text"))
+    packed = chosen.mapInArrow(shrink, chosen.drop("_text").schema.add("_shard", T.IntegerType()).add("_packed", "binary"))
+    lists = flags.select(F.col("shard").alias("_shard"), F.lit(0).alias("_kind"), F.col("ids").alias("_ids"), F.col("places").alias("_counts"), F.col("keys").alias("_keys"))
+    met = packed.withColumn("_kind", F.lit(1)).unionByName(lists, allowMissingColumns=True).repartition("_shard").sortWithinPartitions("_shard", "_kind")
+    output = [*keep, "_n_words", "_n_removed", "_kept", "_original"]
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        large, fingerprints = zstandard.ZstdDecompressor(), Fingerprints(width)
+        large, fingerprints, shard, flagged = zstandard.ZstdDecompressor(), Fingerprints(width), None, {}
         for whole in batches:
             for batch in (whole.slice(i, 256) for i in range(0, whole.num_rows, 256)):
-                counts, removed, texts, untouched = [], [], [], []
-                for data, blobs in zip(batch.column("_packed").to_pylist(), batch.column("_keys").to_pylist(), strict=True):
+                counts, removed, texts, untouched, rows = [], [], [], [], []
+                for at, (own, kind, ids, numbers, keys, doc, data) in enumerate(zip(*(batch.column(c).to_pylist() for c in ("_shard", "_kind", "_ids", "_counts", "_keys", "_id", "_packed")), strict=True)):
+                    if own != shard:
+                        shard, flagged = own, {}
+                    if not kind:
+                        edges = np.cumsum(np.frombuffer(numbers, np.uint32))[:-1]
+                        for d, part in zip(unpack_ids(ids).tolist(), np.split(np.frombuffer(keys, np.uint64), edges), strict=True):
+                            flagged.setdefault(d, []).append(part)
+                        continue
+                    rows.append(at)
                     raw = large.decompress(data) if data is not None else b""
                     words = raw.split()
                     counts.append(len(words))
                     gone = np.zeros(len(words), bool)
-                    if blobs:
-                        keys, _ = fingerprints.of(words)
-                        hit = np.flatnonzero(np.isin(keys, np.frombuffer(b"".join(blobs), np.uint64)))
+                    if doc in flagged and len(words) >= width:
+                        fingerprint, _ = fingerprints.of(words)
+                        hit = np.flatnonzero(np.isin(fingerprint, np.concatenate(flagged[doc])))
                         edges = np.zeros(len(words) + 1, np.int64)
                         np.add.at(edges, hit, 1)
                         np.add.at(edges, hit + width, -1)
@@ -235,13 +254,13 @@ def remove_flagged(docs: DataFrame, flags: DataFrame, keep: list[str], width: in
                     removed.append(int(gone.sum()))
                     if removed[-1]:
                         words = [w for w, g in zip(words, gone.tolist(), strict=True) if not g]
-                    whole_text = original and not removed[-1]
-                    texts.append(None if data is None or whole_text else b" ".join(words).decode())
-                    untouched.append(raw.decode() if whole_text and data is not None else None)
+                    intact = original and not removed[-1]
+                    texts.append(None if data is None or intact else b" ".join(words).decode())
+                    untouched.append(raw.decode() if intact and data is not None else None)
                 columns = [pa.array(counts, pa.int64()), pa.array(removed, pa.int64()), pa.array(texts, pa.string()), pa.array(untouched, pa.string())]
-                yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), *columns], [*keep, "_n_words", "_n_removed", "_kept", "_original"])
+                yield pa.RecordBatch.from_arrays([*(batch.column(c).take(pa.array(rows, pa.int64())) for c in keep), *columns], output)
 
-    return met.mapInArrow(cut, met.select(*keep).schema.add("_n_words", "long").add("_n_removed", "long").add("_kept", "string").add("_original", "string"))
+    return met.mapInArrow(cut, chosen.select(*keep).schema.add("_n_words", "long").add("_n_removed", "long").add("_kept", "string").add("_original", "string"))
 
 
 class SubstringIndex:
@@ -269,23 +288,28 @@ class SubstringIndex:
         """remove_flagged() of a batch against the index and itself; its windows become a run of the index."""
         fresh = stored(runs_of(docs, self.n_buckets, self.width))
         history = self._history()
-        flags = stored(merge_runs(fresh if history is None else fresh.unionByName(history)).select("doc_id", "keys"))
-        merge_runs(fresh.filter("bucket >= 0"), "run").write.parquet(f"{self.path}/run-{self.next}")
+        flags = stored(merge_runs(fresh if history is None else fresh.unionByName(history), self.n_buckets))
+        merge_runs(fresh.filter("bucket >= 0"), self.n_buckets, "run").write.parquet(f"{self.path}/run-{self.next}")
         self.runs.append(self.next)
         self.next += 1
         if len(self.runs) > self.fanout:
             self.compact()
         self._commit()
-        return remove_flagged(docs, flags, keep, self.width)
+        return remove_flagged(docs, flags, self.n_buckets, keep, self.width)
 
     def compact(self) -> None:
-        merge_runs(self._history(), "run").write.parquet(f"{self.path}/run-{self.next}")
+        merge_runs(self._history(), self.n_buckets, "run").write.parquet(f"{self.path}/run-{self.next}")
         self.runs, self.next = [self.next], self.next + 1
 
 
+def dedup_batch(docs: DataFrame, keep: list[str], width: int = WIDTH, original: bool = False) -> DataFrame:
+    """remove_flagged() of one batch against an empty index; as many buckets as the session has shuffle partitions."""
+    n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return remove_flagged(docs, merge_runs(runs_of(docs, n, width), n), n, keep, width, original)
+
+
 def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
-    out = remove_flagged(docs, flagged_keys(docs), ["doc_id"])
+    out = dedup_batch(table(spark, sf_dir, "documents"), ["doc_id"])
     return out.select("doc_id", F.col("_n_words").alias("n_words"), F.col("_n_removed").alias("n_removed"), F.sha2(F.coalesce("_kept", F.lit("")).cast("binary"), 256).alias("kept_sha256"))
 
 
