@@ -290,7 +290,7 @@ def nonneg_project(spark: SparkSession, d: str) -> DataFrame:
 # Measures from fixed models -------------------------------------------------------------------------------------
 
 
-@query("fit_cp_fixed", f"WITH {NBM}, {_SIZES}, all_cells AS (SELECT i1, i2, i3, coalesce(v, 0) AS v FROM range((SELECT a FROM z)) x(i1), range((SELECT b FROM z)) y(i2), range((SELECT c FROM z)) w(i3) LEFT JOIN t USING (i1, i2, i3)) SELECT round(1 - sqrt(sum(pow(v - {_ws('i1', 0)} * {_ws('i2', 0)} * {_ws('i3', 0)} - {_ws('i1', 1)} * {_ws('i2', 1)} * {_ws('i3', 1)}, 2)) / sum(v * v)), 6) AS fit FROM all_cells")
+@query("fit_cp_fixed", f"WITH {NBM}, {_SIZES}, g AS (SELECT i1, i2, i3 FROM range((SELECT a FROM z)) x(i1), range((SELECT b FROM z)) y(i2), range((SELECT c FROM z)) w(i3)), all_cells AS (SELECT i1, i2, i3, coalesce(v, 0) AS v FROM g LEFT JOIN t USING (i1, i2, i3)) SELECT round(1 - sqrt(sum(pow(v - {_ws('i1', 0)} * {_ws('i2', 0)} * {_ws('i3', 0)} - {_ws('i1', 1)} * {_ws('i2', 1)} * {_ws('i3', 1)}, 2)) / sum(v * v)), 6) AS fit FROM all_cells")
 def fit_cp_fixed(spark: SparkSession, d: str) -> DataFrame:
     t = built(spark, d, "business")[0]
     return spark.createDataFrame([(round(metrics.fit(t, CPModel([_w(s) for s in t.shape])), 6),)], "fit double")
