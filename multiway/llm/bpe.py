@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import sliced_texts, table
+from .common import sliced_texts, table, trimmed
 
 NONE = np.int64(1 << 40)
 #: Matches up to this many bytes are encoded side by side; the store keeps so many matches.
@@ -230,6 +230,11 @@ class Encoder:
         for chunks in cut:
             yield [self.chunks[c] for c in chunks]
 
+    def forget(self) -> None:
+        """Drop stored results: a worker that serves other kernels next must not keep them."""
+        for store in (self.store, self.chunks, self.old_store, self.old_chunks):
+            store.clear()
+
     def encode(self, text: str | None) -> list[int]:
         (got,) = self.results([text or ""])
         return [int(x) for g in got for x in g[1].split(",")]
@@ -260,10 +265,11 @@ def encoded(docs: DataFrame, keep: list[str], path: str | None = None, ids: bool
                 rows.append([*row, [int(x) for x in line.split(",")] if ids and line else []])
             columns = list(zip(*rows, strict=True))[: 4 if ids else 3]
             yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), *(pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.string(), pa.string(), pa.list_(pa.int32())), strict=False))], [*keep, "n_tokens", "ids_sha256", "decoded_sha256", "ids"][: len(keep) + len(columns)])
+        encoder.forget()
 
     chosen = docs.select(*keep, F.col(text_col).cast("string").alias("_text"))
     schema = chosen.select(*keep).schema.add("n_tokens", "long").add("ids_sha256", "string").add("decoded_sha256", "string")
-    return chosen.mapInArrow(run, schema.add("ids", T.ArrayType(T.IntegerType())) if ids else schema)
+    return chosen.mapInArrow(lambda batches: trimmed(run(batches)), schema.add("ids", T.ArrayType(T.IntegerType())) if ids else schema)
 
 
 def decoded(tokens: DataFrame, keep: list[str], path: str | None = None, ids_col: str = "ids") -> DataFrame:

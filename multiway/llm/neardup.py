@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import WordHashes, sliced_texts, stored, table, window_hashes
+from .common import WordHashes, sliced_texts, stored, table, trimmed, window_hashes
 from .decontaminate import words_of
 
 SHINGLE, THRESHOLD = 5, 0.8
@@ -92,7 +92,7 @@ def _with_nodes(keyed: DataFrame, forest: Forest, width: int) -> DataFrame:
                 nodes.append(forest.nodes(s).tobytes() if len(s) else None)
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("key"), pa.array(nodes, pa.binary())], ["doc_id", "key", "nodes"])
 
-    return keyed.mapInArrow(run, keyed.select("doc_id", "key").schema.add("nodes", "binary"))
+    return keyed.mapInArrow(lambda batches: trimmed(run(batches)), keyed.select("doc_id", "key").schema.add("nodes", "binary"))
 
 
 def _exploded(classes: DataFrame, trees: int) -> DataFrame:
@@ -208,7 +208,7 @@ def verified(parts: DataFrame, threshold: float, width: int) -> DataFrame:
         finish()
         yield flush()
 
-    return sorted_parts.mapInArrow(run, "key binary, other binary, links long")
+    return sorted_parts.mapInArrow(lambda batches: trimmed(run(batches)), "key binary, other binary, links long")
 
 
 def packed_texts(keyed: DataFrame) -> DataFrame:

@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import MULTIPLIERS, WordHashes, mixed, sliced_texts, stored, table, window_hashes
+from .common import MULTIPLIERS, WordHashes, mixed, sliced_texts, stored, table, trimmed, window_hashes
 
 WIDTH = 13
 #: Text bytes of which one run is made.
@@ -175,7 +175,7 @@ def runs_of(docs: DataFrame, n_buckets: int, width: int = WIDTH) -> DataFrame:
         if held:
             yield out()
 
-    return docs.filter("doc_id IS NOT NULL AND text IS NOT NULL").select("doc_id", "text").mapInArrow(run, RUN_SCHEMA)
+    return docs.filter("doc_id IS NOT NULL AND text IS NOT NULL").select("doc_id", "text").mapInArrow(lambda batches: trimmed(run(batches)), RUN_SCHEMA)
 
 
 def merge_runs(runs: DataFrame, n_buckets: int, emit: str = "flags") -> DataFrame:
@@ -260,7 +260,7 @@ def remove_flagged(docs: DataFrame, flags: DataFrame, n_shards: int, keep: list[
                 columns = [pa.array(counts, pa.int64()), pa.array(removed, pa.int64()), pa.array(texts, pa.string()), pa.array(untouched, pa.string())]
                 yield pa.RecordBatch.from_arrays([*(batch.column(c).take(pa.array(rows, pa.int64())) for c in keep), *columns], output)
 
-    return met.mapInArrow(cut, chosen.select(*keep).schema.add("_n_words", "long").add("_n_removed", "long").add("_kept", "string").add("_original", "string"))
+    return met.mapInArrow(lambda batches: trimmed(cut(batches)), chosen.select(*keep).schema.add("_n_words", "long").add("_n_removed", "long").add("_kept", "string").add("_original", "string"))
 
 
 class SubstringIndex:
