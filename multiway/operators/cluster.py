@@ -52,8 +52,31 @@ def cluster_accuracy(pairs: DataFrame, label: str = "label", cluster: str = "clu
     return float(table[np.arange(size), match].sum() / max(1, table.sum()))
 
 
-def kmeans(spark: SparkSession, features: np.ndarray, k: int, seed: int = 1) -> DataFrame:
-    """(i, cluster) of rows."""
+def lloyd(x: np.ndarray, k: int, seed: int = 1, starts: int = 8, steps: int = 60) -> np.ndarray:
+    """K-means of a matrix on the driver: spread starts, the best of several."""
+    best, labels = np.inf, None
+    for s in range(starts):
+        random = np.random.default_rng(seed + s)
+        centres = x[[random.integers(len(x))]]
+        while len(centres) < k:
+            far = ((x[:, None] - centres[None]) ** 2).sum(2).min(1)
+            centres = np.vstack([centres, x[random.choice(len(x), p=far / far.sum()) if far.sum() else random.integers(len(x))]])
+        for _ in range(steps):
+            own = ((x[:, None] - centres[None]) ** 2).sum(2).argmin(1)
+            moved = np.stack([x[own == c].mean(0) if (own == c).any() else centres[c] for c in range(k)])
+            if np.allclose(moved, centres):
+                break
+            centres = moved
+        cost = ((x - centres[own]) ** 2).sum()
+        if cost < best:
+            best, labels = cost, own
+    return labels
+
+
+def kmeans(spark: SparkSession, features: np.ndarray, k: int, seed: int = 1, driver_rows: int = 20_000) -> DataFrame:
+    """(i, cluster) of rows; matrices beyond driver_rows are clustered on the executors."""
+    if len(features) <= driver_rows:
+        return spark.createDataFrame([(i, int(c)) for i, c in enumerate(lloyd(features, k, seed))], "i long, cluster int")
     from pyspark.ml.clustering import KMeans
     from pyspark.ml.linalg import Vectors
 

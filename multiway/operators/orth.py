@@ -15,7 +15,16 @@ def basis_map(gram: np.ndarray, rtol: float = 1e-12) -> np.ndarray:
     w, q = np.linalg.eigh(gram)
     keep = w > rtol * max(w.max(initial=0), 1e-300)
     order = np.argsort(-w[keep])
-    return (q[:, keep] / np.sqrt(w[keep]))[:, order]
+    q = q[:, keep]
+    # Signs are fixed, so rounding (another grid, another order of sums) doesn't turn the basis.
+    q = q * np.where(q[np.abs(q).argmax(0), np.arange(q.shape[1])] < 0, -1.0, 1.0)
+    return (q / np.sqrt(w[keep]))[:, order]
+
+
+def polish_map(gram: np.ndarray) -> np.ndarray:
+    """The symmetric inverse root: near the identity it stays near it, where eigenvectors would be arbitrary."""
+    w, q = np.linalg.eigh(gram)
+    return (q / np.sqrt(w)) @ q.T
 
 
 def orth(z: np.ndarray, how: str = "gram", rtol: float = 1e-12, passes: int = 2) -> np.ndarray:
@@ -25,8 +34,8 @@ def orth(z: np.ndarray, how: str = "gram", rtol: float = 1e-12, passes: int = 2)
         return u[:, s > np.sqrt(rtol) * max(s.max(initial=0), 1e-300)]
     if how != "gram":
         raise ValueError(f"unknown way {how!r}")
-    for _ in range(passes):
-        z = z @ basis_map(z.T @ z, rtol)
+    for k in range(passes):
+        z = z @ (polish_map(z.T @ z) if k else basis_map(z.T @ z, rtol))
     return z
 
 
@@ -70,8 +79,9 @@ def orth_rows(rows: DataFrame, how: str = "gram", rtol: float = 1e-12, passes: i
         _, s, vt = np.linalg.svd(np.linalg.qr(np.vstack(parts), mode="r"))
         keep = s > np.sqrt(rtol) * max(s.max(initial=0), 1e-300)
         return times_rows(rows, vt[keep].T / s[keep], column)
-    for _ in range(passes):
-        rows = times_rows(rows, basis_map(gram_rows(rows, column), rtol), column)
+    for k in range(passes):
+        small = gram_rows(rows, column)
+        rows = times_rows(rows, polish_map(small) if k else basis_map(small, rtol), column)
     return rows
 
 

@@ -77,7 +77,7 @@ def w2_sketch_fit(spark, sf_dir, size=100, rank=5, p=5, snrs=(0, 10, 20), seeds=
     return log.frame(spark)
 
 
-def w3_cp_table(spark, sf_dir, configs=((3, 40, 5),), snr=10.0, seeds=(0,), max_iter=40, direct=True, replicas=True):
+def w3_cp_table(spark, sf_dir, configs=((3, 40, 5),), snr=10.0, seeds=(0,), max_iter=40, direct=True, replicas=True, p=10):
     """CP methods at one SNR: fit to the truth and seconds."""
     log = Log("w3")
     for order, size, rank in configs:
@@ -85,7 +85,7 @@ def w3_cp_table(spark, sf_dir, configs=((3, 40, 5),), snr=10.0, seeds=(0,), max_
         for s in seeds:
             t, truth = synth.cp_tensor(spark, fs, snr, seed=300 + s)
             t, config = t.kept(), f"N={order} I={size} R={rank} snr={snr}"
-            form = log.run("two_sweep_compression", config, s, lambda: _form(t, [rank] * order, seed=s + 1), t, truth)
+            form = log.run("two_sweep_compression", config, s, lambda: _form(t, [rank] * order, p, seed=s + 1), t, truth)
             log.run("compressed_als", config, s, lambda: cp.compressed_cp(form, rank, seed=s + 1, max_iter=1000), t, truth, False)
             log.run("core_then_lift", config, s, lambda: cp.core_then_lift_cp(form, rank, seed=s + 1, max_iter=1000), t, truth, False)
             if direct:
@@ -97,7 +97,7 @@ def w3_cp_table(spark, sf_dir, configs=((3, 40, 5),), snr=10.0, seeds=(0,), max_
     return log.frame(spark)
 
 
-def w4_nonneg_table(spark, sf_dir, configs=((3, 40, 5),), snr=10.0, seeds=(0,), max_iter=25, direct=True):
+def w4_nonneg_table(spark, sf_dir, configs=((3, 40, 5),), snr=10.0, seeds=(0,), max_iter=25, direct=True, p=10):
     """Nonnegative CP methods: multiplicative and column-wise updates, direct and compressed."""
     log = Log("w4")
     for order, size, rank in configs:
@@ -105,7 +105,7 @@ def w4_nonneg_table(spark, sf_dir, configs=((3, 40, 5),), snr=10.0, seeds=(0,),
         for s in seeds:
             t, truth = synth.cp_tensor(spark, fs, snr, seed=400 + s)
             t, config = t.kept(), f"N={order} I={size} R={rank} snr={snr}"
-            form = log.run("two_sweep_compression", config, s, lambda: _form(t, [rank] * order, seed=s + 1), t, truth)
+            form = log.run("two_sweep_compression", config, s, lambda: _form(t, [rank] * order, p, seed=s + 1), t, truth)
             for update in ("mu", "hals"):
                 log.run(f"compressed_{update}", config, s, lambda: cp.compressed_cp(form, rank, update, seed=s + 1, max_iter=1000), t, truth, False)
                 if direct:
