@@ -132,10 +132,12 @@ def softmax_l1(x: np.ndarray, y: np.ndarray, classes: int, penalty: float = 2e-4
 def fit_licences(docs: DataFrame, docs_limit: int = SAMPLE_DOCS) -> LicenceModel:
     """Templates, decoys and lines of at most docs_limit documents; only n-grams of templates that plain lines lack count."""
     random = np.random.default_rng(5)
-    sample = docs.select("doc_id", "text").filter("text IS NOT NULL").orderBy(F.xxhash64("doc_id")).limit(docs_limit).select(F.slice(F.split(F.col("text"), "\n"), 1, SAMPLE_LINES).alias("lines")).collect()
+    # Ids are chosen first: only the chosen documents' lines then come to the driver, however many tasks there are.
+    chosen = docs.select("doc_id").filter("text IS NOT NULL AND doc_id IS NOT NULL").orderBy(F.xxhash64("doc_id"), "doc_id").limit(docs_limit).distinct()
+    sample = docs.join(F.broadcast(chosen), "doc_id").select(F.slice(F.split(F.col("text"), "\n"), 1, SAMPLE_LINES).alias("lines")).limit(docs_limit).collect()
     # A line that is (nearly) a template must not teach the model that it is plain text.
     known = [n_grams(tokens(t), 2) for texts in TEMPLATES.values() for t in texts]
-    plain = [w for r in sample for line in r["lines"] if (w := tokens(line[:2000])) and max(len(n_grams(w, 2) & k) / len(k) for k in known) < 0.4]
+    plain = [w for r in sample for line in r["lines"] or [] if (w := tokens(line[:2000])) and max(len(n_grams(w, 2) & k) / len(k) for k in known) < 0.4]
     rows, labels = [], []
     for k, texts in enumerate(TEMPLATES.values()):
         for t in texts:
