@@ -152,13 +152,14 @@ def span_spaces(text: str, ranges: list[int]) -> str:
 
 def without_spans(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """All documents, the hit words cut out of their texts."""
-    found = decontaminate(docs, benchmark, docs.columns)
+    columns = docs.columns
+    found = decontaminate(docs, benchmark, columns)
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             texts = [t if not r else span_spaces(t, r) for t, r in zip(batch.column("text").to_pylist(), batch.column("hit_ranges").to_pylist(), strict=True)]
             at = batch.schema.get_field_index("text")
-            yield batch.set_column(at, "text", pa.array(texts, pa.string())).select(docs.columns)
+            yield batch.set_column(at, "text", pa.array(texts, pa.string())).select(columns)
 
     return found.mapInArrow(cut, docs.schema)
 

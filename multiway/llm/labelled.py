@@ -19,7 +19,7 @@ def training_rows(docs: DataFrame, labels: DataFrame, label: str, limit: int = T
     """text, label of at most `limit` rows; the bound is put on ids before texts are joined."""
     chosen = labels.filter(F.col(label).isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max(label).cast("int").alias("label"))
     chosen = chosen.orderBy(F.xxhash64("doc_id"), "doc_id").limit(limit)
-    return docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id").select("text", "label")
+    return docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id").select("text", "label").limit(limit)
 
 
 def logistic(z):

@@ -272,12 +272,12 @@ class SubstringIndex:
         self.next = 0
 
     def _commit(self) -> None:
-        self.spark.createDataFrame([(r, self.next, self.n_buckets, self.width) for r in self.runs], "run long, next long, n_buckets int, width int").coalesce(1).write.mode("overwrite").parquet(f"{self.path}/manifest")
+        self.spark.createDataFrame([(r, self.next, self.n_buckets, self.width, self.fanout) for r in self.runs], "run long, next long, n_buckets int, width int, fanout int").coalesce(1).write.mode("overwrite").parquet(f"{self.path}/manifest")
 
     @classmethod
     def open(cls, spark: SparkSession, path: str) -> SubstringIndex:
         rows = spark.read.parquet(f"{path.rstrip('/')}/manifest").collect()
-        index = cls(spark, path, rows[0]["n_buckets"], rows[0]["width"])
+        index = cls(spark, path, rows[0]["n_buckets"], rows[0]["width"], rows[0]["fanout"])
         index.runs, index.next = sorted(r["run"] for r in rows), rows[0]["next"]
         return index
 
