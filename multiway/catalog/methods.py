@@ -246,3 +246,21 @@ SELECT round(max(s) / (SELECT count(*) FROM c), 6) AS accuracy FROM (SELECT a, b
 def accuracy_perm4(spark: SparkSession, d: str) -> DataFrame:
     pairs = tables.table(spark, d, "documents").select(F.col("lang").alias("label"), (F.col("doc_id") % 4).alias("cluster"))
     return spark.createDataFrame([(round(cluster_accuracy(pairs), 6),)], "accuracy double")
+
+
+@query("fit_table_w3_200")
+def fit_table_w3_200(spark: SparkSession, d: str) -> DataFrame:
+    """The published size N=3, I=200, R=10 at 10 dB: compression and compressed ALS, timed apart."""
+    return W.w3_cp_table(spark, d, ((3, 200, 10),), direct=False, replicas=False)
+
+
+@query("fit_table_w4_200")
+def fit_table_w4_200(spark: SparkSession, d: str) -> DataFrame:
+    """The same size with exponential factors and zeros: compressed nonnegative methods."""
+    return W.w4_nonneg_table(spark, d, ((3, 200, 10),), direct=False)
+
+
+@query("huge_w7_large")
+def huge_w7_large(spark: SparkSession, d: str) -> DataFrame:
+    """As many cells as the events allow: 250^4 from 10,000 of them."""
+    return W.w7_huge_nonneg(spark, d, 250, 4, 10)

@@ -87,6 +87,7 @@ def w3_cp_table(spark, sf_dir, configs=((3, 40, 5),), snr=10.0, seeds=(0,), max_
             t, config = t.kept(), f"N={order} I={size} R={rank} snr={snr}"
             form = log.run("two_sweep_compression", config, s, lambda: _form(t, [rank] * order, p, seed=s + 1), t, truth)
             log.run("compressed_als", config, s, lambda: cp.compressed_cp(form, rank, seed=s + 1, max_iter=1000), t, truth, False)
+            log.run("compressed_als_best_of_5", config, s, lambda: cp.compressed_cp(form, rank, seed=s + 1, max_iter=1000, n_starts=5), t, truth, False)
             log.run("core_then_lift", config, s, lambda: cp.core_then_lift_cp(form, rank, seed=s + 1, max_iter=1000), t, truth, False)
             if direct:
                 log.run("direct_als", config, s, lambda: cp.cp_als(t, rank, seed=s + 1, max_iter=max_iter), t, truth)
