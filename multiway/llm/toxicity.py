@@ -7,6 +7,9 @@ emits an event (insult or threat; aimed at somebody or not; plain, negated or re
 emits nothing, so only clauses around trie hits are walked, which is exact. A text's score is the logistic of the
 weighted events of its clauses; weights are fitted by penalised likelihood around the grammar's own prior weights.
 
+Given stems hold with and without accents on Latin letters, however composed; learnt stems keep the accents of the texts they
+come from, which tell words apart. An elided French article or pronoun is a word of its own; apostrophes may be curly.
+
 Defined results: null and empty texts emit no event and get the score of the intercept; texts are read whole; repeated rows
 are scored alike; without labelled rows the prior weights and given stems hold; labels, lang, source and doc_id never enter a
 score.
@@ -15,9 +18,12 @@ score.
 from __future__ import annotations
 
 import re
+import unicodedata
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from heapq import merge
+from operator import itemgetter
 
 import ahocorasick
 import numpy as np
@@ -28,12 +34,12 @@ from pyspark.sql import functions as F
 from .common import sliced_texts, table
 from .labelled import fit_logistic, held_out, logistic, training_rows
 
-# The grammar's own words. A star at the end takes any ending.
+# The grammar's own words; stems have no accents, as they also meet folded words. A star at the end takes any ending.
 INSULTS = "idiot* moron* loser* scum* trash pathetic worthless stupid* disgusting clown* dumb* fool* imbecile* cretin* bastard* asshole* bitch* vermin filth* creep* freak* jerk* garbage dimwit* halfwit* retard* subhuman* idiota* estupid* imbecil* basura inutil* cabron* pendej* dummkopf* arschloch* abschaum trottel* schwachkopf* versager* connard* salope* abruti* ordure* debile* cretine*".split()
 THREATS = "kill* murder* hurt destroy* beat stab* shoot strangle* exterminat* matar* matare* umbringen toten zerstoren tuer* tuerai detruire".split()
-TARGETS = frozenset("you your you're youre yours u ur yourself he she they them him her du dich dir dein deine ihr euch tu te ti usted ustedes vosotros vous toi votre vos".split())
-NEGATIONS = frozenset("not no never isn't aren't wasn't don't doesn't didn't cannot can't won't without nicht kein keine nie nunca jamas sin ne pas jamais sans".split())
-REPORTS = frozenset("said says say wrote writes claimed claims quoted quote quotes called reported alleged told asked article sagte sagt schrieb dijo dice escribio dit ecrit".split())
+TARGETS = frozenset("you your you're youre yours u ur yourself he she they them him her du dich dir dein deine ihr euch tu te ti usted ustedes vosotros vous toi votre vos tú".split())
+NEGATIONS = frozenset("not no never isn't aren't wasn't don't doesn't didn't cannot can't won't without nicht kein keine nie nunca jamas sin ne pas jamais sans jamás".split())
+REPORTS = frozenset("said says say wrote writes claimed claims quoted quote quotes called reported alleged told asked article sagte sagt schrieb dijo dice escribio dit ecrit escribió écrit".split())
 #: Words that negation and reported speech reach over.
 REACH = {"negated": 3, "reported": 12}
 
@@ -46,6 +52,40 @@ STEM_LENGTHS = (4, 5, 6, 7)
 TRAIN_ROWS = 20_000
 CLAUSE_END = re.compile(r"[.,;:!?\n\r()\"]")
 WORD = re.compile(r"[^\W\d_]+(?:'[^\W\d_]+)?")
+ELIDED = re.compile(r"(l|d|j|m|t|s|c|n|qu|jusqu|lorsqu|puisqu)'(?=[aeiouyhà-öø-ÿœ])")
+#: Elided words that the grammar has in full.
+IN_FULL = {"n": "ne", "t": "te"}
+#: Small Latin letters with marks and the letter below; marks that no composed letter has.
+PLAIN = {c: base[0] for c in map(chr, (*range(0xC0, 0x250), *range(0x1E00, 0x1F00))) if (base := unicodedata.normalize("NFD", c)) != c and "a" <= base[0] <= "z"}
+ACCENTED, LOOSE_MARKS = re.compile(f"[{''.join(PLAIN)}]"), re.compile("(?<=[a-z])[\u0300-\u036f]+")
+
+
+def lowered(text: str) -> str:
+    """Small letters, composed, straight apostrophes."""
+    low = text.lower()
+    return low if low.isascii() else LOOSE_MARKS.sub("", unicodedata.normalize("NFC", low.replace("\u2019", "'")))
+
+
+def folded(low: str) -> str:
+    """A lowered text with Latin letters stripped of their marks, place by place."""
+    return low if low.isascii() else ACCENTED.sub(lambda m: PLAIN[m[0]], low)
+
+
+def words_in(text: str, start: int = 0, end: int | None = None) -> list[str]:
+    """Words of a lowered text; what French elides before a vowel stands apart."""
+    words = WORD.findall(text, start, len(text) if end is None else end)
+    if "'" not in text:
+        return words
+    out = []
+    for word in words:
+        if cut := ELIDED.match(word):
+            out += [IN_FULL.get(cut[1], cut[1]), word[cut.end() :]]
+        else:
+            out.append(word)
+    return out
+
+#: Given stems, which also match words that are spelled with accents.
+GIVEN = {w.rstrip("*"): (kind, w.endswith("*")) for kind, words in (("threat", THREATS), ("insult", INSULTS)) for w in words}
 
 
 @dataclass
@@ -57,7 +97,7 @@ class Grammar:
 
     def __post_init__(self) -> None:
         if not self.stems:
-            self.stems = {w.rstrip("*"): (kind, w.endswith("*")) for kind, words in (("threat", THREATS), ("insult", INSULTS)) for w in words}
+            self.stems = dict(GIVEN)
 
     def automaton(self) -> ahocorasick.Automaton:
         trie = ahocorasick.Automaton()
@@ -67,10 +107,13 @@ class Grammar:
         return trie
 
     def kind_of(self, word: str) -> str | None:
-        """What the trigger acceptors say of a word: the longest stem decides."""
-        for n in range(len(word), 2, -1):
-            if (found := self.stems.get(word[:n])) and (n == len(word) or found[1]):
-                return found[0]
+        """What the trigger acceptors say of a word: the longest stem decides, of the word as spelled, then of its folded form."""
+        for stems, form in ((self.stems, word), (GIVEN, folded(word))):
+            for n in range(len(form), 2, -1):
+                if (found := stems.get(form[:n])) and (n == len(form) or found[1]):
+                    return found[0]
+            if word.isascii():
+                break
         return None
 
     def walk(self, words: list[str]) -> Iterator[int]:
@@ -93,8 +136,10 @@ class Grammar:
         out = np.zeros(len(EVENTS))
         if not text:
             return out
-        low, done = text.lower(), -1
-        for end, stem in trie.iter(low):
+        low, done = lowered(text), -1
+        plain = folded(low)
+        hits = trie.iter(low) if plain == low else merge(trie.iter(low), trie.iter(plain), key=itemgetter(0))
+        for end, stem in hits:
             start = end - len(stem) + 1
             if start <= done or (start and low[start - 1].isalpha()):
                 continue
@@ -103,7 +148,7 @@ class Grammar:
                 before -= 1
             found = CLAUSE_END.search(low, end)
             done = found.start() if found else len(low)
-            out[list(self.walk(WORD.findall(low, before, done)))] += 1
+            out[list(self.walk(words_in(low, before, done)))] += 1
         return np.log1p(out) / np.log(2)
 
     def score(self, text: str | None, trie: ahocorasick.Automaton) -> float:
@@ -123,7 +168,7 @@ def stem_counts(rows: DataFrame) -> DataFrame:
         for batch in sliced_texts(batches, "text"):
             for text, label in zip(batch.column("text").to_pylist(), batch.column("label").to_pylist(), strict=True):
                 stems = set()
-                for word in set(WORD.findall(text.lower())):
+                for word in set(words_in(lowered(text))):
                     stems.update(word[:n] for n in STEM_LENGTHS if len(word) > n)
                     if 3 <= len(word) <= 24:
                         stems.add(word + "$")

@@ -140,6 +140,25 @@ def test_grammar_weighs_clauses():
     assert s("he said you are an idiot") < 0.7 and s("clean text") < 0.1 and s(None) == s("")
 
 
+@pytest.mark.parametrize("text", ["eres un estúpido", "quel imbécile", "eres un cabrón", "tu es débile", "eres un inútil", "c'est l'abruti du village", "un tas d'ordure", "tu es l’idiot", "QUEL IMBÉCILE", "quel imbe\u0301cile"])
+def test_accented_and_elided_insults(text):
+    grammar = toxicity.Grammar()
+    trie = grammar.automaton()
+    assert grammar.events(text, trie).sum() == 1 and grammar.score(text, trie) > 0.7
+
+
+def test_accented_threats_and_context_words():
+    grammar = toxicity.Grammar()
+    trie = grammar.automaton()
+    found = lambda text: [toxicity.EVENTS[i] for i in np.flatnonzero(grammar.events(text, trie))]
+    assert found("wir werden dich töten") == found("wir werden dich zerstören") == ["threat/aimed/plain"]
+    assert found("il a écrit que c'est un abruti") == found("escribió que es un cabrón") == ["insult/loose/reported"]
+    assert found("il n'est abruti") == found("it isn’t stupid") == found("jamás un idiota") == ["insult/loose/negated"]
+    assert toxicity.folded(toxicity.lowered("Ça й が 한")) == "ca й が 한" and toxicity.words_in("don't d'accord l'x") == ["don't", "d", "accord", "l'x"]
+    learnt = toxicity.Grammar({"réeux": ("insult", True), "reeuy": ("insult", True)} | toxicity.GIVEN)
+    assert [learnt.kind_of(w) for w in ("réeuxai", "reeuxai", "reeuyai", "réeuyai", "imbéciles")] == ["insult", None, "insult", None, "insult"]
+
+
 # Tokens
 
 
