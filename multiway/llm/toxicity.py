@@ -2,9 +2,11 @@
 
 Five transducers read the words of a clause: insult and threat acceptors (a trie of stems, some given, others learnt from
 labelled rows as the shortest prefixes that tell toxic texts), a target acceptor, and negation and reported-speech
-transducers that change the weight of what follows within their reach. Their composition walks a clause once and
-emits an event (insult or threat; aimed at somebody or not; plain, negated or reported); a clause without a trigger
-emits nothing, so only clauses around trie hits are walked, which is exact. A text's score is the logistic of the
+transducers that change the weight of what follows within their reach. Negation ends with its clause; reported speech runs over
+commas, colons and quotation marks to the end of its reach, and a quotation that opens within the reach is reported as a
+whole, over ends of sentences too, and ends the state as it closes. Their composition walks a line once and
+emits events by clause (insult or threat; aimed at somebody or not; plain, negated or reported). No state outlives a line
+and a line without a trigger emits nothing, so only lines with trie hits are walked, which is exact. A text's score is the logistic of the
 weighted events of its clauses; weights are fitted by penalised likelihood around the grammar's own prior weights.
 
 Given stems hold with and without accents on Latin letters, however composed; learnt stems keep the accents of the texts they
@@ -50,7 +52,11 @@ INTERCEPT = -3.0
 STEM_LENGTHS = (4, 5, 6, 7)
 #: Labelled rows that stems and weights are learnt from, at most.
 TRAIN_ROWS = 20_000
-CLAUSE_END = re.compile(r"[.,;:!?\n\r()\"]")
+CLAUSE_END = re.compile(r"[.,;:!?\n\r()\"“”„«»]")
+LINE_END = re.compile(r"[\n\r]")
+QUOTES = re.compile(r"[\"“”„«»]")
+#: Clause ends that reported speech runs over.
+CARRIES = frozenset(',:"“”„«»')
 WORD = re.compile(r"[^\W\d_]+(?:'[^\W\d_]+)?")
 ELIDED = re.compile(r"(l|d|j|m|t|s|c|n|qu|jusqu|lorsqu|puisqu)'(?=[aeiouyhà-öø-ÿœ])")
 #: Elided words that the grammar has in full.
@@ -88,6 +94,20 @@ def words_in(text: str, start: int = 0, end: int | None = None) -> list[str]:
 GIVEN = {w.rstrip("*"): (kind, w.endswith("*")) for kind, words in (("threat", THREATS), ("insult", INSULTS)) for w in words}
 
 
+def quotations(line: str) -> dict[int, int]:
+    """Place of each opening quotation mark -> place of the mark that closes it; marks without a partner are left out."""
+    found, opened = {}, None
+    for mark in QUOTES.finditer(line):
+        k = mark.start()
+        loose, tight = not line[max(0, k - 1) : k].strip(), line[k + 1 : k + 2].isalnum()
+        if opened is None or (loose and tight):
+            # A mark behind a word or number that no word follows (5" of rain) opens nothing.
+            opened = k if loose or tight or not line[k - 1].isalnum() else None
+        else:
+            found[opened], opened = k, None
+    return found
+
+
 @dataclass
 class Grammar:
     """stems: word or prefix -> (kind, takes any ending); weights in the order of EVENTS, the intercept last."""
@@ -116,20 +136,38 @@ class Grammar:
                 break
         return None
 
-    def walk(self, words: list[str]) -> Iterator[int]:
-        """Compose the transducers over one clause: the index in EVENTS of each trigger."""
+    def walk(self, words: list[str], reported: int = 0, held: bool = False) -> tuple[set[int], int]:
+        """Compose the transducers over one clause: the indices in EVENTS of its triggers, and how far reported speech still reaches."""
         aim = 0 if any(w in TARGETS for w in words) else 1
-        reach = {"negated": 0, "reported": 0}
+        reach, found = {"negated": 0, "reported": reported}, set()
         for word in words:
             if kind := self.kind_of(word):
-                mood = 1 if reach["negated"] else 2 if reach["reported"] else 0
-                yield (0 if kind == "insult" else 6) + 3 * aim + mood
+                mood = 1 if reach["negated"] else 2 if held or reach["reported"] else 0
+                found.add((0 if kind == "insult" else 6) + 3 * aim + mood)
             for mood in reach:
                 reach[mood] = max(0, reach[mood] - 1)
             if word in NEGATIONS or word.endswith("n't"):
                 reach["negated"] = REACH["negated"]
             if word in REPORTS:
                 reach["reported"] = REACH["reported"]
+        return found, reach["reported"]
+
+    def clauses(self, line: str) -> Iterator[set[int]]:
+        """The events of each clause of a lowered line; reported speech is handed from clause to clause."""
+        closing, reported, held, start = quotations(line), 0, -1, 0
+        while start <= len(line):
+            found = CLAUSE_END.search(line, start)
+            end = found.start() if found else len(line)
+            if start < end:
+                events, reported = self.walk(words_in(line, start, end), reported, held >= 0)
+                yield events
+            if end == held:
+                reported, held = 0, -1
+            elif held < 0 and reported and end in closing:
+                held = closing[end]
+            elif held < 0 and found and found[0] not in CARRIES:
+                reported = 0
+            start = end + 1
 
     def events(self, text: str | None, trie: ahocorasick.Automaton) -> np.ndarray:
         """Clauses with each event, their number dampened so that long texts don't gain by length alone."""
@@ -143,12 +181,11 @@ class Grammar:
             start = end - len(stem) + 1
             if start <= done or (start and low[start - 1].isalpha()):
                 continue
-            before = start
-            while before and not CLAUSE_END.match(low[before - 1]):
-                before -= 1
-            found = CLAUSE_END.search(low, end)
+            before = max(low.rfind("\n", 0, start), low.rfind("\r", 0, start)) + 1
+            found = LINE_END.search(low, end)
             done = found.start() if found else len(low)
-            out[list(self.walk(words_in(low, before, done)))] += 1
+            for events in self.clauses(low[before:done]):
+                out[list(events)] += 1
         return np.log1p(out) / np.log(2)
 
     def score(self, text: str | None, trie: ahocorasick.Automaton) -> float:

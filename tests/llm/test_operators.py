@@ -159,6 +159,18 @@ def test_accented_threats_and_context_words():
     assert [learnt.kind_of(w) for w in ("réeuxai", "reeuxai", "reeuyai", "réeuyai", "imbéciles")] == ["insult", None, "insult", None, "insult"]
 
 
+def test_reported_speech_runs_over_punctuation():
+    grammar = toxicity.Grammar()
+    trie = grammar.automaton()
+    moods = lambda text: [toxicity.EVENTS[i].split("/")[2] for i in np.flatnonzero(grammar.events(text, trie))]
+    quoted = "one two three four five six seven eight nine ten eleven twelve thirteen."
+    for text in ('he said, "you are an idiot"', "she wrote: you are an idiot", "she wrote: “you are an idiot”", "il a dit : « quel idiot »", f'he said: "{quoted} You are an idiot!"', 'He said 5" of rain, you are an idiot', 'He asked "why" and "how", then said "you idiot"'):
+        assert moods(text) == ["reported"] and grammar.score(text, trie) < 0.7, text
+    for text in ('he said "hello", you are an idiot', "he said hello. You are an idiot", "he said hello\nyou are an idiot", f"he said, {quoted[:-1]} you idiot", '"hello", you idiot', f'he said: "{quoted[:-1]} you are an idiot'):
+        assert moods(text) == ["plain"] and grammar.score(text, trie) > 0.7, text
+    assert moods("not today, you idiot") == ["plain"] and moods("he said, you are not an idiot") == ["negated"]
+
+
 # Tokens
 
 
