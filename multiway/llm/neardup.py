@@ -1,11 +1,11 @@
-"""N-gram Jaccard join with a MinHash LSH forest and exact verification.
+"""N-gram Jaccard join with MinHash LSH in fixed bands and exact verification.
 
 Equal texts form a class, known by the MD5 of the text; one text of each class goes on. A text is the set of its
-five-word shingles (words: small letters, punctuation dropped). Every tree of the forest is a trie over a signature of
-`max_depth` MinHash values; prefixes are shortened level by level until a pair at the threshold meets in some tree with the
-target probability, and texts that share a trie node of that depth are candidates. Nodes that hold the same set of texts
-are kept once. Within a node all pairs are verified on their shingle sets, block against block for large nodes, and a
-pair counts only in the first tree in which it meets, so links are exact counts although no pair is ever written: a
+five-word shingles (words: small letters, punctuation dropped). Every tree is a band of MinHash values, a prefix of a
+signature of `max_depth`; one length for all, which threshold and parameters fix, is the longest at which a pair at the
+threshold meets in some tree with the target probability. Texts that share a tree's prefix (a node) are candidates; nothing
+adapts to a text or node. Nodes that hold the same set of texts are kept once. Within a node all pairs are verified on their shingle sets, block against block for large nodes, and a
+pair counts only in the first tree in which it meets, so links of pairs that meet are counted once although no pair is ever written (pairs that meet nowhere are missed): a
 node yields for each text its number of links and one text of its linked component. Components over nodes come from
 alternating large-star and small-star rounds. The cost of a hot group is the pairs compared inside its blocks;
 rows and bytes stay in proportion to the number of texts.
