@@ -10,6 +10,7 @@ import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 #: Text bytes that one slice of an Arrow batch may hold before Python objects are made of it.
 SLICE_BYTES = 4 << 20
@@ -20,10 +21,13 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The checkpoint folder that all executors share; a temporary one only where none is set (tests)."""
+    """The checkpoint folder that all executors share. One of our own is only made for a local session, as in tests."""
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="mw-checkpoint-"))
+        path = spark.conf.get("spark.checkpoint.dir", None)
+        if path is None and not sc.master.split("[")[0] == "local":
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+        sc.setCheckpointDir(path or tempfile.mkdtemp(prefix="mw-checkpoint-"))
     return sc.getCheckpointDir()
 
 
@@ -35,7 +39,48 @@ def stored(df: DataFrame, *, codec: str = "zstd") -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/cut-{uuid.uuid4().hex}"
     df.write.option("compression", codec).parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.cut_path = path
+    return out
+
+
+def discard(df: DataFrame | None) -> None:
+    """Delete the files of a stored() table that nothing reads any more."""
+    path = getattr(df, "cut_path", None)
+    if path:
+        jvm = df.sparkSession._jvm
+        where = jvm.org.apache.hadoop.fs.Path(path)
+        where.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(where, True)
+
+
+#: Keys whose rows lookup() keeps away from the exchange; any other key then has less than 1/256 of the rows.
+HOT_KEYS, HOT_ROWS = 256, 1000
+
+
+def lookup(left: DataFrame, right: DataFrame, key: str, how: str = "left") -> DataFrame:
+    """Join `right`, which has one row a key, to `left`, where one key may hold a third of all rows.
+
+    The at most HOT_KEYS most frequent keys of `left` meet their rows of `right` by a broadcast of so many rows; the others by an
+    exchange, in which no key is large. how: left or inner; keys are not null.
+    """
+    spark = left.sparkSession
+    most = left.filter(F.col(key).isNotNull()).groupBy(key).agg(F.count("*").alias("_n")).filter(f"_n >= {HOT_ROWS}").orderBy(F.desc("_n")).limit(HOT_KEYS).select(key).collect()
+    if not most:
+        return left.join(right, key, how)
+    hot = F.broadcast(spark.createDataFrame(most, left.select(key).schema))
+    few = F.broadcast(right.join(hot, key, "left_semi"))
+    return left.join(hot, key, "left_anti").join(right, key, how).unionByName(left.join(hot, key, "left_semi").join(few, key, how))
+
+
+def boxed(docs: DataFrame, keep: list[str], text_col: str = "text") -> DataFrame:
+    """`row`, a structure of the kept columns, and `text`: whatever the columns are called, no name can clash."""
+    return docs.select(F.struct(*[F.col(f"`{c}`") for c in keep]).alias("row"), F.col(text_col).cast("string").alias("text"))
+
+
+def unboxed(df: DataFrame, *more) -> DataFrame:
+    """The columns of `row`, and others if named."""
+    names = df.schema["row"].dataType.names
+    return df.select(*[F.col("row")[c].alias(c) for c in names], *more)
 
 
 def slices(batch: pa.RecordBatch, column: str, limit: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
