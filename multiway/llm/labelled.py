@@ -8,6 +8,8 @@ from pyspark.sql import functions as F
 
 #: Labelled rows that a classifier is fitted on, at most; taken in order of a hash of the id.
 TRAIN_ROWS = 6000
+#: Tasks that read the training texts.
+PARTS = 24
 
 
 def held_out(id_col: str = "doc_id"):
@@ -16,10 +18,14 @@ def held_out(id_col: str = "doc_id"):
 
 
 def training_rows(docs: DataFrame, labels: DataFrame, label: str, limit: int = TRAIN_ROWS) -> DataFrame:
-    """text, label of at most `limit` rows; the bound is put on ids before texts are joined."""
+    """doc_id, text, label of at most `limit` documents, one row an id (of repeated ids the least text, the greater label).
+
+    The bound is put on ids, by a hash of them, before any text moves; texts are then dealt over PARTS tasks.
+    """
     chosen = labels.filter(F.col(label).isin(0, 1) & F.col("doc_id").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max(label).cast("int").alias("label"))
     chosen = chosen.orderBy(F.xxhash64("doc_id"), "doc_id").limit(limit)
-    return docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id").select("text", "label").limit(limit)
+    rows = docs.select("doc_id", F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).join(F.broadcast(chosen), "doc_id")
+    return rows.groupBy("doc_id").agg(F.min("text").alias("text"), F.first("label").alias("label")).repartition(PARTS)
 
 
 def logistic(z):

@@ -1,20 +1,29 @@
 """Toxicity by a weighted finite-state pattern grammar.
 
-Five transducers read the words of a clause: insult and threat acceptors (a trie of stems, some given, others learnt from
-labelled rows as the shortest prefixes that tell toxic texts), a target acceptor, and negation and reported-speech
-transducers that change the weight of what follows within their reach. Negation ends with its clause; reported speech runs over
-commas, colons and quotation marks to the end of its reach, and a quotation that opens within the reach is reported as a
-whole, over ends of sentences too, and ends the state as it closes. Their composition walks a line once and
-emits events by clause (insult or threat; aimed at somebody or not; plain, negated or reported). No state outlives a line
-and a line without a trigger emits nothing, so only lines with trie hits are walked, which is exact. A text's score is the logistic of the
-weighted events of its clauses; weights are fitted by penalised likelihood around the grammar's own prior weights.
-
-Given stems hold with and without accents on Latin letters, however composed; learnt stems keep the accents of the texts they
+A line becomes a string of symbols: a lexicon (a trie of stems, some given, others learnt from labelled rows as the shortest
+prefixes that tell toxic texts) reads each word and writes insult, threat, target, negation, report or plain word, and
+punctuation becomes the end of a sentence, a mark that speech runs over, or an opening or closing quotation. Three transducers
+with explicit states and arcs rewrite that string:
+
+* negation counts down the words that it reaches over and marks triggers among them; it ends with its clause;
+* reported speech does the same with a longer reach, over commas, colons and quotation marks; a quotation that opens within the
+  reach is reported as a whole, over ends of sentences too, and ends the state as it closes;
+* the target transducer guesses at the start of a clause whether the clause names somebody and dies where the guess turns out
+  wrong, so that triggers before the target are aimed too.
+
+Their composition is computed once; its arcs that read a trigger write an event (insult or threat; aimed or loose; plain,
+negated or reported) and carry that event's weight. A clause is scored by the path that survives to its end, and a text by
+the logistic of the weights of its clauses' events, a thing said in n clauses counting log2(1 + n) times. Weights are fitted
+by penalised likelihood around the grammar's own prior weights. Lines without a stem have no event, so only lines with a
+hit of the stems' automaton are read symbol by symbol, which is exact.
+
+Learnt stems are typed by the company they keep: a stem that mostly follows a word of intent within three words is a threat,
+any other an insult. Given stems hold with and without accents on Latin letters, however composed; learnt stems keep the accents of the texts they
 come from, which tell words apart. An elided French article or pronoun is a word of its own; apostrophes may be curly.
 
 Defined results: null and empty texts emit no event and get the score of the intercept; texts are read whole; repeated rows
 are scored alike; without labelled rows the prior weights and given stems hold; labels, lang, source and doc_id never enter a
-score.
+score; other columns may have any name.
 """
 
 from __future__ import annotations
@@ -24,6 +33,7 @@ import unicodedata
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
+from functools import lru_cache
 from heapq import merge
 from operator import itemgetter
 
@@ -33,7 +43,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import sliced_texts, table
+from .common import boxed, sliced_texts, stored, table, unboxed
 from .labelled import fit_logistic, held_out, logistic, training_rows
 
 # The grammar's own words; stems have no accents, as they also meet folded words. A star at the end takes any ending.
@@ -42,22 +52,28 @@ THREATS = "kill* murder* hurt destroy* beat stab* shoot strangle* exterminat* ma
 TARGETS = frozenset("you your you're youre yours u ur yourself he she they them him her du dich dir dein deine ihr euch tu te ti usted ustedes vosotros vous toi votre vos tú".split())
 NEGATIONS = frozenset("not no never isn't aren't wasn't don't doesn't didn't cannot can't won't without nicht kein keine nie nunca jamas sin ne pas jamais sans jamás".split())
 REPORTS = frozenset("said says say wrote writes claimed claims quoted quote quotes called reported alleged told asked article sagte sagt schrieb dijo dice escribio dit ecrit escribió écrit".split())
+INTENT = frozenset("will ll gonna going shall must should werde werden wirst voy vas vamos vais allons".split())
 #: Words that negation and reported speech reach over.
 REACH = {"negated": 3, "reported": 12}
 
 EVENTS = tuple(f"{kind}/{aim}/{mood}" for kind in ("insult", "threat") for aim in ("aimed", "loose") for mood in ("plain", "negated", "reported"))
+PLACE = {event: k for k, event in enumerate(EVENTS)}
 #: Prior weights: what an event of each kind adds, then the intercept.
 PRIOR = {"insult/aimed/plain": 5.0, "insult/loose/plain": 4.5, "threat/aimed/plain": 4.0, "threat/loose/plain": 0.5, "insult/aimed/negated": 0.5, "insult/loose/negated": 0.5, "threat/aimed/negated": 0.0, "threat/loose/negated": 0.0, "insult/aimed/reported": 0.8, "insult/loose/reported": 0.8, "threat/aimed/reported": 0.2, "threat/loose/reported": 0.0}
 INTERCEPT = -3.0
 STEM_LENGTHS = (4, 5, 6, 7)
 #: Labelled rows that stems and weights are learnt from, at most.
 TRAIN_ROWS = 20_000
-CLAUSE_END = re.compile(r"[.,;:!?\n\r()\"“”„«»]")
+#: A learnt stem is in so many toxic training texts and so many times as frequent there; the most frequent ones, at most so many.
+STEM_SUPPORT, STEM_LIFT, STEM_LIMIT = 4, 25.0, 400
 LINE_END = re.compile(r"[\n\r]")
 QUOTES = re.compile(r"[\"“”„«»]")
 #: Clause ends that reported speech runs over.
 CARRIES = frozenset(',:"“”„«»')
 WORD = re.compile(r"[^\W\d_]+(?:'[^\W\d_]+)?")
+#: A word, or a character that ends a clause.
+TOKEN = re.compile(WORD.pattern + r"|[.,;:!?()\"“”„«»]")
+MARKS = frozenset('.,;:!?()"“”„«»')
 ELIDED = re.compile(r"(l|d|j|m|t|s|c|n|qu|jusqu|lorsqu|puisqu)'(?=[aeiouyhà-öø-ÿœ])")
 #: Elided words that the grammar has in full.
 IN_FULL = {"n": "ne", "t": "te"}
@@ -108,6 +124,82 @@ def quotations(line: str) -> dict[int, int]:
     return found
 
 
+TRIGGERS, WORDS = ("insult", "threat"), ("word", "target", "negation", "report")
+BREAKS = ("stop", "carry", "open", "close", "end")
+
+
+@dataclass
+class Transducer:
+    """arcs: state -> symbol read -> [(next state, symbol written)]; a path lives as long as there is an arc for it."""
+
+    start: object
+    arcs: dict[object, dict[str, list[tuple[object, str]]]]
+
+    def run(self, symbols: list[str]) -> list[tuple[object, list[str]]]:
+        """Every path over the symbols, as its last state and what it wrote."""
+        paths = [(self.start, [])]
+        for symbol in symbols:
+            paths = [(after, [*out, written]) for state, out in paths for after, written in self.arcs[state].get(symbol, ())]
+        return paths
+
+    def then(self, other: Transducer) -> Transducer:
+        """Composition: what this one writes the other reads; only pairs of states that can be reached are made."""
+        start = (self.start, other.start)
+        arcs, todo = {}, [start]
+        while todo:
+            pair = todo.pop()
+            if pair in arcs:
+                continue
+            arcs[pair] = {symbol: [((x, y), out) for x, middle in ends for y, out in other.arcs[pair[1]].get(middle, ())] for symbol, ends in self.arcs[pair[0]].items()}
+            todo += [after for ends in arcs[pair].values() for after, _ in ends]
+        return Transducer(start, arcs)
+
+
+def negation(reach: int = REACH["negated"]) -> Transducer:
+    """States: words that negation still reaches over."""
+    arcs = {}
+    for k in range(reach + 1):
+        after = max(0, k - 1)
+        arcs[k] = {w: [(after, w)] for w in WORDS} | {b: [(0, b)] for b in BREAKS} | {t: [(after, f"{t} negated" if k else t)] for t in TRIGGERS}
+        arcs[k]["negation"] = [(reach, "negation")]
+    return Transducer(0, arcs)
+
+
+def reporting(reach: int = REACH["reported"]) -> Transducer:
+    """States: words that a report still reaches over, or being inside a reported quotation."""
+    arcs = {}
+    for k in [*range(reach + 1), "quoted"]:
+        inside = k == "quoted"
+        after = k if inside else max(0, k - 1)
+        arcs[k] = {w: [(after, w)] for w in WORDS} | {f"{t} negated": [(after, f"{t} negated")] for t in TRIGGERS} | {t: [(after, f"{t} reported" if k else f"{t} plain")] for t in TRIGGERS}
+        arcs[k] |= {"carry": [(k, "carry")], "stop": [(k if inside else 0, "stop")], "end": [(0, "end")], "open": [("quoted" if k else 0, "open")], "close": [(0 if inside else k, "close")]}
+        if not inside:
+            arcs[k]["report"] = [(reach, "report")]
+    return Transducer(0, arcs)
+
+
+def targeting() -> Transducer:
+    """States: a clause that is to name somebody and hasn't yet, one that has, one that is to name nobody."""
+    told = [f"{t} {mood}" for t in TRIGGERS for mood in ("plain", "negated", "reported")]
+    event = lambda x, aim: "/".join((x.split()[0], aim, x.split()[1]))
+    arcs: dict = {}
+    for state in ("promised", "named", "nobody"):
+        aim = "loose" if state == "nobody" else "aimed"
+        arcs[state] = {w: [(state, "")] for w in WORDS} | {x: [(state, event(x, aim))] for x in told}
+        # A clause ends and the next one begins with either guess; a promise that wasn't kept has no way on.
+        arcs[state] |= {b: [] if state == "promised" else [("promised", "|"), ("nobody", "|")] for b in BREAKS}
+    arcs["promised"]["target"] = arcs["named"]["target"] = [("named", "")]
+    arcs["nobody"]["target"] = []
+    # The first clause has both guesses too.
+    arcs["begin"] = {symbol: [*arcs["promised"][symbol], *arcs["nobody"][symbol]] for symbol in arcs["nobody"]}
+    return Transducer("begin", arcs)
+
+
+@lru_cache(1)
+def machine() -> Transducer:
+    return negation().then(reporting()).then(targeting())
+
+
 @dataclass
 class Grammar:
     """stems: word or prefix -> (kind, takes any ending); weights in the order of EVENTS, the intercept last."""
@@ -136,38 +228,42 @@ class Grammar:
                 break
         return None
 
-    def walk(self, words: list[str], reported: int = 0, held: bool = False) -> tuple[set[int], int]:
-        """Compose the transducers over one clause: the indices in EVENTS of its triggers, and how far reported speech still reaches."""
-        aim = 0 if any(w in TARGETS for w in words) else 1
-        reach, found = {"negated": 0, "reported": reported}, set()
-        for word in words:
-            if kind := self.kind_of(word):
-                mood = 1 if reach["negated"] else 2 if held or reach["reported"] else 0
-                found.add((0 if kind == "insult" else 6) + 3 * aim + mood)
-            for mood in reach:
-                reach[mood] = max(0, reach[mood] - 1)
-            if word in NEGATIONS or word.endswith("n't"):
-                reach["negated"] = REACH["negated"]
-            if word in REPORTS:
-                reach["reported"] = REACH["reported"]
-        return found, reach["reported"]
-
-    def clauses(self, line: str) -> Iterator[set[int]]:
-        """The events of each clause of a lowered line; reported speech is handed from clause to clause."""
-        closing, reported, held, start = quotations(line), 0, -1, 0
-        while start <= len(line):
-            found = CLAUSE_END.search(line, start)
-            end = found.start() if found else len(line)
-            if start < end:
-                events, reported = self.walk(words_in(line, start, end), reported, held >= 0)
-                yield events
-            if end == held:
-                reported, held = 0, -1
-            elif held < 0 and reported and end in closing:
-                held = closing[end]
-            elif held < 0 and found and found[0] not in CARRIES:
-                reported = 0
-            start = end + 1
+    def symbol(self, word: str) -> str:
+        """The lexicon: what a word is to the transducers."""
+        if kind := self.kind_of(word):
+            return kind
+        if word in NEGATIONS or word.endswith("n't"):
+            return "negation"
+        return "report" if word in REPORTS else "target" if word in TARGETS else "word"
+
+    def symbols(self, line: str) -> list[str]:
+        """A lowered line as the transducers read it."""
+        pairs, out = quotations(line), []
+        closing = set(pairs.values())
+        for token in TOKEN.finditer(line):
+            text, at = token[0], token.start()
+            if text not in MARKS:
+                out += [self.symbol(w) for w in words_in(text)]
+            else:
+                out.append("open" if at in pairs else "close" if at in closing else "carry" if text in CARRIES else "stop")
+        out.append("end")
+        return out
+
+    def clauses(self, line: str) -> Iterator[set[str]]:
+        """The events of each clause of a lowered line that has any, by the one path that lives to the clause's end."""
+        arcs = machine().arcs
+        live: dict[object, frozenset] = {machine().start: frozenset()}
+        for symbol in self.symbols(line):
+            following = {}
+            for state, events in live.items():
+                for after, written in arcs[state].get(symbol, ()):
+                    following[after] = events | {written} if written and written != "|" else events
+            live = following
+            if symbol in BREAKS:
+                events = next(iter(live.values()))
+                if events:
+                    yield set(events)
+                    live = dict.fromkeys(live, frozenset())
 
     def events(self, text: str | None, trie: ahocorasick.Automaton) -> np.ndarray:
         """Clauses with each event, their number dampened so that long texts don't gain by length alone."""
@@ -185,15 +281,21 @@ class Grammar:
             found = LINE_END.search(low, end)
             done = found.start() if found else len(low)
             for events in self.clauses(low[before:done]):
-                out[list(events)] += 1
+                out[[PLACE[e] for e in events]] += 1
         return np.log1p(out) / np.log(2)
 
     def score(self, text: str | None, trie: ahocorasick.Automaton) -> float:
         return float(logistic(self.events(text, trie) @ self.weights[:-1] + self.weights[-1]))
 
 
+def any_stem(grammar: Grammar, text: str | None) -> bool:
+    """The word list that the grammar is compared with: does any trigger occur?"""
+    return any(grammar.kind_of(w) for w in words_in(lowered(text or "")))
+
+
 def stem_counts(rows: DataFrame) -> DataFrame:
-    """Texts of each label that hold each candidate stem: counted per partition first, then summed."""
+    """Texts of each label that hold each candidate stem, and toxic ones that have it after a word of intent: counted per
+    partition first, then summed."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tally: Counter = Counter()
@@ -202,23 +304,31 @@ def stem_counts(rows: DataFrame) -> DataFrame:
             items = list(tally.items())
             return pa.RecordBatch.from_arrays([pa.array([k[0] for k, _ in items], pa.string()), pa.array([k[1] for k, _ in items], pa.int32()), pa.array([n for _, n in items], pa.int64())], ["stem", "label", "n"])
 
+        def stems_of(words: set[str]) -> set[str]:
+            found = set()
+            for word in words:
+                found.update(word[:n] for n in STEM_LENGTHS if len(word) > n)
+                if 3 <= len(word) <= 24:
+                    found.add(word + "$")
+            return found
+
         for batch in sliced_texts(batches, "text"):
             for text, label in zip(batch.column("text").to_pylist(), batch.column("label").to_pylist(), strict=True):
-                stems = set()
-                for word in set(words_in(lowered(text))):
-                    stems.update(word[:n] for n in STEM_LENGTHS if len(word) > n)
-                    if 3 <= len(word) <= 24:
-                        stems.add(word + "$")
-                tally.update((s, label) for s in stems)
+                words = words_in(lowered(text))
+                tally.update((s, label) for s in stems_of(set(words)))
+                if label == 1:
+                    meant = {w for k, word in enumerate(words) if word in INTENT for w in words[k + 1 : k + 4]}
+                    tally.update((s, 2) for s in stems_of(meant))
             if len(tally) > 300_000:
                 yield out()
                 tally.clear()
         yield out()
 
-    return rows.mapInArrow(count, "stem string, label int, n long").groupBy("stem").agg(F.sum(F.when(F.col("label") == 1, F.col("n")).otherwise(0)).alias("toxic"), F.sum(F.when(F.col("label") == 0, F.col("n")).otherwise(0)).alias("clean"))
+    of = lambda label: F.sum(F.when(F.col("label") == label, F.col("n")).otherwise(0))
+    return rows.mapInArrow(count, "stem string, label int, n long").groupBy("stem").agg(of(1).alias("toxic"), of(0).alias("clean"), of(2).alias("meant"))
 
 
-def learnt_stems(counts: DataFrame, toxic: int, clean: int, support: int = 4, lift: float = 25.0, limit: int = 400) -> dict[str, tuple[str, bool]]:
+def learnt_stems(counts: DataFrame, toxic: int, clean: int, support: int = STEM_SUPPORT, lift: float = STEM_LIFT, limit: int = STEM_LIMIT) -> dict[str, tuple[str, bool]]:
     """Stems that are frequent in toxic texts and (nearly) absent from clean ones; of nested prefixes the shortest."""
     if not toxic or not clean:
         return {}
@@ -228,14 +338,12 @@ def learnt_stems(counts: DataFrame, toxic: int, clean: int, support: int = 4, li
     for r in sorted(found, key=lambda r: (len(r["stem"]), r["stem"])):
         word = r["stem"].rstrip("$")
         if not any(word[:n] in stems and stems[word[:n]][1] for n in range(3, len(word) + 1)):
-            stems[word] = ("insult", not r["stem"].endswith("$"))
+            stems[word] = ("threat" if 2 * r["meant"] > r["toxic"] else "insult", not r["stem"].endswith("$"))
     return stems
 
 
 def fit_grammar(docs: DataFrame, labels: DataFrame, limit: int = TRAIN_ROWS) -> Grammar:
     """Learn stems and weights from at most `limit` labelled rows outside the held-out fold."""
-    from .common import stored
-
     rows = stored(training_rows(docs, labels, "toxic", limit))
     sizes = {r["label"]: r["n"] for r in rows.groupBy("label").agg(F.count("*").alias("n")).collect()}
     grammar = Grammar()
@@ -261,12 +369,12 @@ def score_toxicity(docs: DataFrame, grammar: Grammar, keep: list[str], text_col:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         trie = grammar.automaton()
-        for batch in sliced_texts(batches, "_text"):
-            scores = pa.array([grammar.score(t, trie) for t in batch.column("_text").to_pylist()], pa.float64())
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), scores], [*keep, out])
+        for batch in sliced_texts(batches, "text"):
+            scores = pa.array([grammar.score(t, trie) for t in batch.column("text").to_pylist()], pa.float64())
+            yield pa.RecordBatch.from_arrays([batch.column("row"), scores], ["row", "score"])
 
-    chosen = docs.select(*keep, F.col(text_col).cast("string").alias("_text"))
-    return chosen.mapInArrow(run, chosen.select(*keep).schema.add(out, "double"))
+    chosen = boxed(docs, keep, text_col)
+    return unboxed(chosen.mapInArrow(run, chosen.select("row").schema.add("score", "double")), F.col("score").alias(out))
 
 
 def op7_toxicity_grammar(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -140,6 +140,59 @@ def test_grammar_weighs_clauses():
     assert s("he said you are an idiot") < 0.7 and s("clean text") < 0.1 and s(None) == s("")
 
 
+def paths_by_hand(symbols):
+    """Events of each clause from all paths through the three transducers, one after the other, nothing composed."""
+    found = [out for _, first in toxicity.negation().run(symbols) for _, second in toxicity.reporting().run(first) for _, out in toxicity.targeting().run(second)]
+    clauses = {tuple(tuple(sorted({e for e in part.split() if e})) for part in " ".join(out).split("|")[:-1]) for out in found}
+    assert len(clauses) == 1  # the guesses of a clause that its end bears out are one path
+    return [set(c) for c in clauses.pop() if c]
+
+
+def test_composition_equals_all_paths():
+    random = np.random.default_rng(4)
+    symbols = ["word", "word", "target", "negation", "report", "insult", "threat", "carry", "stop", "open", "close"]
+    grammar = toxicity.Grammar()
+    for _ in range(400):
+        line = [*random.choice(symbols, random.integers(0, 12)).tolist(), "end"]
+        grammar.symbols = lambda _, line=line: line
+        assert list(grammar.clauses("")) == paths_by_hand(line), line
+    machine = toxicity.machine()
+    assert {state[0][0] for state in machine.arcs} == {0, 1, 2, 3} and {state[0][1] for state in machine.arcs} >= {0, 12, "quoted"}
+
+
+#: Sentences that hold a stem each; whether they are toxic lies in the clause.
+CONTRAST = [("you are an idiot", 1), ("idiot, that is what you are", 1), ("what a worthless clown", 1), ("we will kill you", 1), ("I am going to murder him", 1), ("du bist ein Dummkopf", 1), ("eres un cabrón", 1), ("tu es un abruti", 1), ("they are all scum", 1), ("shut up, you pathetic loser", 1)] + [(t, 0) for t in ("you are not an idiot", "he said you are an idiot", 'she wrote: "you are a moron"', "kill the process and restart it", "the frost will destroy the harvest", "a drum beat and a second drum beat", "it wasn't stupid", "the article called him a clown", "tu n'es pas idiot", "er schrieb, du bist ein Versager", "the acid can hurt", "nobody said that you are worthless")]
+
+
+def test_clauses_tell_more_than_stems(spark):
+    d = "/root/testdata/sf0.01"
+    fitted = toxicity.fit_grammar(spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet"))
+    for grammar in (toxicity.Grammar(), fitted):
+        trie = grammar.automaton()
+        right = sum((grammar.score(t, trie) >= 0.7) == y for t, y in CONTRAST)
+        listed = sum(toxicity.any_stem(grammar, t) == y for t, y in CONTRAST)
+        print("right of", len(CONTRAST), "grammar", right, "any stem", listed)
+        assert right >= 20 and listed == sum(y for _, y in CONTRAST) == 10
+
+
+def test_learnt_stems_are_typed(spark):
+    texts = [(f"we will zorble you {i}", 1) for i in range(6)] + [(f"you are a grombat {i}", 1) for i in range(6)] + [(f"plain words {i}", 0) for i in range(40)]
+    rows = spark.createDataFrame(texts, "text string, label int")
+    stems = toxicity.learnt_stems(toxicity.stem_counts(rows), 12, 40, lift=2.0)
+    kinds = {w: k for w, (k, _) in stems.items()}
+    assert {k for w, k in kinds.items() if w.startswith("zorb")} == {"threat"} and {k for w, k in kinds.items() if w.startswith("grom")} == {"insult"}
+
+
+def test_training_rows_are_one_an_id(spark):
+    from multiway.llm.labelled import training_rows
+
+    docs = spark.createDataFrame([(i % 40, f"t{i:03}", 1) for i in range(200)], "doc_id long, text string, label int")
+    labels = spark.createDataFrame([(i % 40, i % 2, 0) for i in range(80)] + [(None, 1, 0), (3, 7, 0)], "doc_id long, quality int, toxic int")
+    rows = training_rows(docs, labels, "quality", 10).collect()
+    assert len(rows) == 10 == len({r["doc_id"] for r in rows})
+    assert all(r["text"] == f"t{r['doc_id']:03}" and zlib.crc32(str(r["doc_id"]).encode()) % 3 != 1 for r in rows)
+
+
 @pytest.mark.parametrize("text", ["eres un estúpido", "quel imbécile", "eres un cabrón", "tu es débile", "eres un inútil", "c'est l'abruti du village", "un tas d'ordure", "tu es l’idiot", "QUEL IMBÉCILE", "quel imbe\u0301cile"])
 def test_accented_and_elided_insults(text):
     grammar = toxicity.Grammar()
