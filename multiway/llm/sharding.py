@@ -1,26 +1,34 @@
 """Sharding by fixed virtual slots.
 
 Every record is hashed into one of a few thousand slots, the bytes of each slot are summed in one aggregation, and a
-versioned table says which shard holds which slot. Rebalancing edits that small table; records never change slots.
+versioned table, stored beside the records, says which shard holds which slot. Rebalancing edits that small table by a new version;
+records never change slots.
 
-Defined results: a null text has no bytes and the checksum of no bytes (0); null and repeated ids are ordinary rows
-(the hash covers id, size and checksum, so rows that share an id spread); an empty table gives an empty result; other
-columns of the input are not read, so their names cannot clash.
+Law `bytes`: shards are near equal in bytes. Equal texts are a group that may hold a third of all rows, so they are dealt over
+slots and shards like any others, not kept together: a slot comes from id, size and checksum, and where one such triple (rows
+repeated, or copies without an id) fills a slot far beyond the mean, its rows are dealt over all slots by their place in the
+stored records.
+
+Defined results: a null text has no bytes and the checksum of no bytes (0); null and repeated ids are ordinary rows; an empty
+table gives an empty result; other columns of the input are not read, so their names cannot clash.
 """
 
 from __future__ import annotations
 
 import heapq
+import uuid
 from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import stored, table
+from .common import shared_folder, stored, table
 
 N_SLOTS = 4096
 #: Bytes that a record costs beside its text.
 RECORD_BYTES = 16
+#: A slot of so many times the mean number of rows is looked into for a triple that fills it.
+CROWDED = 4
 
 
 @dataclass
@@ -87,6 +95,15 @@ class SlotMap:
             versions.setdefault(r["version"], []).append(r["shard"])
         return cls(len(versions[max(versions)]) if versions else N_SLOTS, [versions[v] for v in sorted(versions)])
 
+    def save(self, spark: SparkSession, path: str) -> None:
+        """Write the newest version as a folder of its own; earlier ones stay as they are, so a lost writer harms none."""
+        version = len(self.versions) - 1
+        self.to_frame(spark).filter(F.col("version") == version).coalesce(1).write.mode("overwrite").parquet(f"{path}/version={version}")
+
+    @classmethod
+    def load(cls, spark: SparkSession, path: str) -> SlotMap:
+        return cls.from_frame(spark.read.option("basePath", path).schema("virtual_slot int, shard int, version int").parquet(path))
+
 
 def digests(docs: DataFrame, n_slots: int = N_SLOTS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Id, size, checksum and virtual slot of every record: one scan, no shuffle."""
@@ -100,18 +117,42 @@ def slot_weights(records: DataFrame) -> dict[int, tuple[int, int]]:
     return {r["virtual_slot"]: (r["n"], r["b"]) for r in records.groupBy("virtual_slot").agg(F.count("*").alias("n"), F.sum("size").alias("b")).collect()}
 
 
-def shard_records(docs: DataFrame, n_shards: int, slot_map: SlotMap | None = None, n_slots: int = N_SLOTS) -> tuple[DataFrame, SlotMap]:
+def spread_repeats(records: DataFrame, n_slots: int = N_SLOTS) -> DataFrame:
+    """Deal the rows of a triple that holds more rows than twice a slot's mean over all slots, by their place among the stored rows.
+
+    Fewer than n_slots triples can hold so many, so they are broadcast; only rows of crowded slots are counted by triple.
+    """
+    counts = slot_weights(records)
+    mean = sum(n for n, _ in counts.values()) / n_slots
+    crowded = [(s,) for s, (n, _) in counts.items() if n > max(2, CROWDED * mean)]
+    if not crowded:
+        return records
+    spark, triple = records.sparkSession, ["doc_id", "size", "text_crc32"]
+    inside = records.join(F.broadcast(spark.createDataFrame(crowded, "virtual_slot int")), "virtual_slot", "left_semi")
+    hot = inside.groupBy(*triple).agg(F.count("*").alias("n")).filter(F.col("n") > max(1, 2 * mean)).select(F.col("doc_id").alias("_d"), F.col("size").alias("_s"), F.col("text_crc32").alias("_c"), F.lit(True).alias("_hot"))
+    same = F.col("doc_id").eqNullSafe(F.col("_d")) & (F.col("size") == F.col("_s")) & (F.col("text_crc32") == F.col("_c"))
+    dealt = records.withColumn("_place", F.monotonically_increasing_id()).join(F.broadcast(hot), same, "left")
+    slot = F.when(F.col("_hot"), F.pmod(F.xxhash64("virtual_slot", "_place"), F.lit(n_slots)).cast("int")).otherwise(F.col("virtual_slot"))
+    return dealt.select(*triple, slot.alias("virtual_slot"))
+
+
+def shard_records(docs: DataFrame, n_shards: int, slot_map: SlotMap | None = None, n_slots: int = N_SLOTS, map_path: str | None = None) -> tuple[DataFrame, SlotMap]:
     """Place every record; with a slot map its newest version is edited, else a first version is planned.
 
     `slot` is the record's place in its shard, without gaps: the slots of a shard follow each other, so a place is the
     rows of the slots before plus the rank in its own slot. Ranks are taken slot by slot, never over a whole shard.
+    map_path: where the map's version is stored; records are placed by what is read back from there.
     """
     spark = docs.sparkSession
-    records = stored(digests(docs, n_slots))
+    records = stored(spread_repeats(stored(digests(docs, n_slots)), n_slots))
     weights = slot_weights(records)
     size = {s: b for s, (_, b) in weights.items()}
     slot_map = slot_map or SlotMap(n_slots)
     owner = slot_map.rebalance(size, n_shards) if slot_map.versions else slot_map.plan(size, n_shards)
+    if map_path:
+        slot_map.save(spark, map_path)
+        slot_map = SlotMap.load(spark, map_path)
+        owner = slot_map.current
     first, filled = [], [0] * n_shards
     for slot, shard in enumerate(owner):
         first.append((slot, shard, filled[shard]))
@@ -124,4 +165,4 @@ def shard_records(docs: DataFrame, n_shards: int, slot_map: SlotMap | None = Non
 
 
 def op1_virtual_slot_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return shard_records(table(spark, sf_dir, "documents"), 40)[0]
+    return shard_records(table(spark, sf_dir, "documents"), 40, map_path=f"{shared_folder(spark)}/slot-map-{uuid.uuid4().hex}")[0]
