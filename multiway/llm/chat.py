@@ -9,8 +9,8 @@ Template: `<|turn|>role NEWLINE text <|end|> NEWLINE`. Escaping: every backslash
 the first character of each control string, so none survives inside a text; reading drops each such backslash.
 
 Defined results: a null text or role is empty; a null turn sorts first; events with equal (turn, seq) fold in order
-of kind rank, role and text; rows repeated in a table of turns are separate messages; an empty table gives no rows;
-other columns are not read.
+of kind rank, role and text; rows repeated in a table of turns are separate messages, in order of role and text; an empty table
+gives no rows; other columns are not read, so their names cannot clash.
 """
 
 from __future__ import annotations
@@ -20,7 +20,7 @@ import re
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import table
@@ -59,10 +59,21 @@ def parsed(segment: str) -> tuple[str, str]:
 
 
 def events_of_turns(turns: DataFrame) -> DataFrame:
-    """A table of finished turns as the log that would have made it: two events a turn."""
+    """A table of finished turns as a log that would have made it.
+
+    An assistant's turn is opened, streams a draft (40 characters of it), is regenerated and streams its text in two pieces; any
+    other turn is opened, streams such a draft and is then edited to the whole. Rows that repeat a (conv_id, turn) are separate messages, numbered in
+    order of role and text, and their events follow each other.
+    """
     row = turns.select("conv_id", "turn", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
-    # Rows that repeat a (conv_id, turn) are separate messages: the text gives each its own place among them.
-    return row.select("conv_id", "turn", F.lit(0).cast("long").alias("seq"), F.lit("open").alias("kind"), "role", "text")
+    message = F.row_number().over(Window.partitionBy("conv_id", "turn").orderBy("role", "text")).cast("long")
+    head, tail = F.expr("substring(text, 1, int(length(text) / 2))"), F.expr("substring(text, int(length(text) / 2) + 1)")
+    event = lambda kind, text: F.struct(F.lit(kind).alias("kind"), text.cast("string").alias("text"))
+    nothing = F.lit(None)
+    streamed = F.array(event("open", nothing), event("delta", F.substring("text", 1, 40)), event("regenerate", nothing), event("delta", head), event("delta", tail))
+    edited = F.array(event("open", nothing), event("delta", F.substring("text", 1, 40)), event("edit", F.col("text")))
+    events = row.withColumn("_m", message).select("conv_id", "turn", "role", "_m", F.posexplode(F.when(F.col("role") == "assistant", streamed).otherwise(edited)).alias("_k", "_e"))
+    return events.select("conv_id", "turn", (F.col("_m") * 8 + F.col("_k")).alias("seq"), F.col("_e.kind").alias("kind"), "role", F.col("_e.text").alias("text"))
 
 
 def _folded(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple]:
