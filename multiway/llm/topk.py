@@ -2,14 +2,16 @@
 
 Vectors are lifted so that the largest inner product becomes the nearest point: a data vector x gets one more component
 sqrt(M^2 - |x|^2) and a query gets 0 there, so |q'-x'|^2 = |q|^2 + M^2 - 2 q.x with M the largest norm. Pivots (a
-bounded, documented sample) cut the lifted space into cells; one aggregation gives each cell its size, radius and the
-smallest distances to its pivot. From these summaries alone each group of queries gets a radius that must hold its k best,
+sample of about the square root of the rows, at most PIVOTS) cut the lifted space into cells; one aggregation gives each cell its
+size and radius. From these summaries alone each group of queries gets a radius that must hold its k best,
 and a data row is sent to a query group only if the triangle inequality can't exclude it. Both sides are cut into pieces of
-bounded size before they meet, so a hot cell is many tasks; each piece is solved by one matrix product.
+bounded size before they meet, so a hot cell is many tasks; each piece is solved by one matrix product. What is broadcast has a
+row for a pair of cells, PIVOTS squared at most, however many rows and queries there are.
 
 Defined results: vectors that are null, or hold a null, NaN or infinite component, take no part, nor do rows without an id;
-lengths that differ are padded by zeros; scores tie to the smaller id; rows that repeat an id
-count once (by the smallest vector); with fewer candidates than k all are returned; an empty table gives no rows.
+lengths that differ are padded by zeros; scores tie to the smaller id; rows that repeat an id are candidates each, never for a
+query of that id, and queries that repeat an id share one list of k; with fewer candidates than k all are returned; an empty
+table gives no rows; other columns are not read, so their names cannot clash.
 """
 
 from __future__ import annotations
@@ -25,15 +27,15 @@ from pyspark.sql import functions as F
 
 from .common import stored, table
 
-#: Rows that serve as pivots, at most.
-PIVOTS = 64
+#: Rows that serve as pivots, at most (and about the square root of the rows).
+PIVOTS = 512
 #: Queries that meet in a task, and about as many data rows, at most.
 QUERY_ROWS, DATA_ROWS = 1024, 16384
 
 
 def _matrix(column, width: int) -> np.ndarray:
-    """Integer vectors of a binary column, padded to one width."""
-    values = [np.frombuffer(b, np.int64) for b in column]
+    """Integer vectors of a column, padded to one width."""
+    values = [np.asarray(x, np.int64) for x in column]
     if values and all(len(v) == width for v in values):
         return np.stack(values)
     out = np.zeros((len(values), width), np.int64)
@@ -42,20 +44,16 @@ def _matrix(column, width: int) -> np.ndarray:
     return out
 
 
-def quantised(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", scale: int = 256) -> DataFrame:
-    """vec_id and the integer vector as bytes; rows that take no part are gone."""
+def _arrow_matrix(column: pa.ListArray, width: int) -> np.ndarray:
+    flat = column.flatten().to_numpy()
+    return flat.reshape(len(column), width) if len(flat) == len(column) * width and (np.diff(column.offsets.to_numpy()) == width).all() else _matrix(column.to_pylist(), width)
 
-    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            ids, packed = [], []
-            for i, x in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                if i is None or x is None or any(c is None or not math.isfinite(c) for c in x):
-                    continue
-                ids.append(i)
-                packed.append(np.floor(np.asarray(x, np.float64) * scale).astype(np.int64).tobytes())
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(packed, pa.binary())], ["vec_id", "vec"])
 
-    return vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vec_col).cast("array<double>").alias("vec")).mapInArrow(pack, "vec_id long, vec binary")
+def quantised(vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding", scale: int = 256) -> DataFrame:
+    """vec_id and the integer vector; rows that take no part are gone."""
+    x = F.col(vec_col).cast("array<double>")
+    bad = F.exists(x, lambda c: c.isNull() | F.isnan(c) | (F.abs(c) == float("inf")))
+    return vectors.filter(F.col(id_col).isNotNull() & x.isNotNull() & ~bad).select(F.col(id_col).cast("long").alias("vec_id"), F.transform(x, lambda c: F.floor(c * scale)).alias("vec"))
 
 
 def products(q: np.ndarray, x: np.ndarray) -> np.ndarray:
@@ -85,14 +83,15 @@ def best(scores: np.ndarray, ids: np.ndarray, own: np.ndarray, k: int) -> list[n
 
 def voronoi_top_k(vectors: DataFrame, is_query, k: int = 5, pivots: int = PIVOTS, query_rows: int = QUERY_ROWS, data_rows: int = DATA_ROWS) -> DataFrame:
     """query_id, rank, vec_id, score of each query's k best; `vectors` as from quantised(), is_query a Column over it."""
-    vectors = stored(vectors.groupBy("vec_id").agg(F.min("vec").alias("vec")))
+    vectors = stored(vectors.select("vec_id", "vec"))
     spark = vectors.sparkSession
-    picked = vectors.orderBy(F.xxhash64("vec_id", "vec")).limit(pivots).collect()
+    square = F.aggregate("vec", F.lit(0.0), lambda total, c: total + c.cast("double") * c.cast("double"))
+    seen = vectors.agg(F.count("*").alias("n"), F.max(F.size("vec")).alias("width"), F.max(square).alias("most")).first()
     out_schema = "query_id long, rank int, vec_id long, score long"
-    if not picked:
+    if not seen["n"]:
         return spark.createDataFrame([], out_schema)
-    norms = _norms(vectors)
-    width, top_norm = norms["width"], math.sqrt(norms["most"])
+    picked = vectors.orderBy(F.xxhash64("vec_id", "vec")).limit(max(8, min(pivots, math.isqrt(seen["n"])))).collect()
+    width, top_norm = max(1, seen["width"]), math.sqrt(seen["most"])
     centre = _matrix([r["vec"] for r in picked], width).astype(np.float64)
     centre = np.unique(np.hstack([centre, np.sqrt(np.maximum(0, top_norm**2 - (centre**2).sum(1)))[:, None]]), axis=0)
     slack = 1e-6 * (1 + top_norm)
@@ -101,7 +100,7 @@ def voronoi_top_k(vectors: DataFrame, is_query, k: int = 5, pivots: int = PIVOTS
         for batch in batches:
             if not batch.num_rows:
                 continue
-            x = _matrix(batch.column("vec").to_pylist(), width).astype(np.float64)
+            x = _arrow_matrix(batch.column("vec"), width).astype(np.float64)
             squares = (x**2).sum(1)
             lift = np.sqrt(np.maximum(0, top_norm**2 - squares))
             square_d = np.maximum(0, (squares + lift**2)[:, None] + (centre**2).sum(1)[None] - 2 * (x @ centre[:, :-1].T + lift[:, None] * centre[:, -1][None]))
@@ -111,55 +110,45 @@ def voronoi_top_k(vectors: DataFrame, is_query, k: int = 5, pivots: int = PIVOTS
             rows = np.arange(len(x))
             yield pa.RecordBatch.from_arrays([batch.column("vec_id"), batch.column("vec"), pa.array(near, pa.int32()), pa.array(np.sqrt(square_d[rows, near])), pa.array(near_q, pa.int32()), pa.array(np.sqrt(flat[rows, near_q])), batch.column("_query")], ["vec_id", "vec", "cell", "far", "query_cell", "query_far", "_query"])
 
-    placed = stored(vectors.withColumn("_query", F.coalesce(is_query.cast("boolean"), F.lit(False))).mapInArrow(cells, "vec_id long, vec binary, cell int, far double, query_cell int, query_far double, _query boolean"))
+    placed = stored(vectors.withColumn("_query", F.coalesce(is_query.cast("boolean"), F.lit(False))).mapInArrow(cells, "vec_id long, vec array<long>, cell int, far double, query_cell int, query_far double, _query boolean"))
     summary = placed.groupBy("cell").agg(F.count("*").alias("n"), F.max("far").alias("far")).collect()
     sides = placed.filter("_query").groupBy("query_cell").agg(F.count("*").alias("n"), F.max("query_far").alias("far")).collect()
     if not sides:
         return spark.createDataFrame([], out_schema)
+    # No more than so many rows have a query's own id and are no candidates of it.
+    own = placed.join(placed.filter("_query").select("vec_id").distinct(), "vec_id", "left_semi").groupBy("vec_id").agg(F.count("*").alias("n")).agg(F.max("n")).first()[0]
     between = np.sqrt(np.maximum(0, ((centre[:, None] - centre[None]) ** 2).sum(2)))
-    limits = []  # (query cell, data cell, least distance to its pivot that a row must have to be needed)
-    for s in sides:
-        g, u = s["query_cell"], s["far"]
-        reach, count, theta = sorted((u + between[g, h["cell"]] + h["far"], h["n"]) for h in summary), 0, math.inf
-        for d, n in reach:
-            count += n
-            if count >= k + 1:
-                theta = d
-                break
-        for h in summary:
-            if between[g, h["cell"]] - u - h["far"] <= theta + slack:
-                limits.append((g, h["cell"], float(between[g, h["cell"]] - u - theta - slack)))
-    total = sum(h["n"] for h in summary)
-    pieces = max(1, -(-total // data_rows))
-    # Cells of few queries are merged into groups; a cell of many is cut. Both follow from the counts above.
-    group_of, filled, group, salts = {}, 0, 0, {}
+    cell, count, far = (np.array([h[c] for h in sorted(summary, key=lambda h: h["cell"])]) for c in ("cell", "n", "far"))
+    # Query cells of few queries are merged into groups; a cell of many is cut into parts. Both follow from the counts.
+    groups: list[list] = []
     for s in sorted(sides, key=lambda s: s["query_cell"]):
-        if s["n"] > query_rows:
-            salts[s["query_cell"]] = -(-s["n"] // query_rows)
-            continue
-        if filled + s["n"] > query_rows:
-            group, filled = group + 1, 0
-        group_of[s["query_cell"]] = group
-        filled += s["n"]
-    group += 1
-    targets, cuts = {}, []
-    for s in sides:
-        c = s["query_cell"]
-        if c in group_of:
-            targets[c] = [group_of[c]]
+        if groups and groups[-1][1] + s["n"] <= query_rows:
+            groups[-1][0].append(s)
+            groups[-1][1] += s["n"]
         else:
-            targets[c] = list(range(group, group + salts[c]))
-            group += salts[c]
-        cuts.append((c, targets[c]))
-    need: dict[tuple[int, int], float] = {}
-    for g, h, least in limits:
-        for t in targets[g]:
-            need[t, h] = min(need.get((t, h), math.inf), least)
-    wanted = spark.createDataFrame([(h, t, x) for (t, h), x in need.items()], "cell int, grp int, least double")
-    owners = spark.createDataFrame(cuts, "query_cell int, grps array<int>")
-    salt = F.pmod(F.xxhash64("vec_id", "vec"), F.lit(pieces)).cast("int")
-    data = placed.join(F.broadcast(wanted), "cell").filter("far >= least").select("grp", salt.alias("piece"), "vec_id", "vec")
-    asked = placed.filter("_query").join(F.broadcast(owners), "query_cell").select(F.element_at("grps", (F.pmod(F.xxhash64("vec_id"), F.size("grps")) + 1).cast("int")).alias("grp"), F.explode(F.sequence(F.lit(0), F.lit(pieces - 1))).alias("piece"), F.col("vec_id").alias("query_id"), F.col("vec").alias("query"))
+            groups.append([[s], s["n"]])
+    wanted, owners = [], []
+    for g, (cells_of, n) in enumerate(groups):
+        least = np.full(len(cell), math.inf)  # distance to its pivot that a row of a cell must have to be needed
+        for s in cells_of:
+            u, d = s["far"], between[s["query_cell"], cell]
+            reach = np.argsort(u + d + far)
+            holds = np.flatnonzero(np.cumsum(count[reach]) >= k + own)
+            theta = (u + d + far)[reach[holds[0]]] if len(holds) else math.inf
+            possible = d - u - far <= theta + slack
+            least = np.where(possible, np.minimum(least, d - u - theta - slack), least)
+        needed = np.flatnonzero(least < math.inf)
+        pieces, parts = max(1, -(-int(count[needed].sum()) // data_rows)), -(-n // query_rows)
+        wanted += [(int(cell[c]), g, pieces, parts, float(max(least[c], -1.0))) for c in needed]
+        owners += [(s["query_cell"], g, pieces, parts) for s in cells_of]
+    wanted_rows = spark.createDataFrame(wanted, "cell int, grp int, pieces int, parts int, least double")
+    owner_rows = spark.createDataFrame(owners, "query_cell int, grp int, pieces int, parts int")
+    upto = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
+    # The place among the stored rows deals repeated rows over pieces too.
+    piece, part = F.pmod(F.xxhash64("_place"), F.col("pieces")).cast("int"), F.pmod(F.xxhash64("_place", F.lit(1)), F.col("parts")).cast("int")
+    placed = placed.withColumn("_place", F.monotonically_increasing_id())
+    data = placed.join(F.broadcast(wanted_rows), "cell").filter("far >= least").select("grp", upto("parts").alias("part"), piece.alias("piece"), "vec_id", "vec")
+    asked = placed.filter("_query").join(F.broadcast(owner_rows), "query_cell").select("grp", part.alias("part"), upto("pieces").alias("piece"), F.col("vec_id").alias("query_id"), F.col("vec").alias("query"))
 
     def solve(q: pd.DataFrame, x: pd.DataFrame) -> pd.DataFrame:
         if not len(q) or not len(x):
@@ -172,25 +161,12 @@ def voronoi_top_k(vectors: DataFrame, is_query, k: int = 5, pivots: int = PIVOTS
                 found.append((np.full(len(pos), asked_ids[start + i]), ids[pos], s[i, pos]))
         return pd.DataFrame({n: np.concatenate(c) for n, c in zip(("query_id", "vec_id", "score"), zip(*found, strict=True), strict=True)})
 
-    asked = asked.toDF("_grp", "_piece", "query_id", "query")
-    local = asked.groupBy("_grp", "_piece").cogroup(data.groupBy("grp", "piece")).applyInPandas(solve, "query_id long, vec_id long, score long")
+    asked = asked.toDF("_grp", "_part", "_piece", "query_id", "query")
+    local = asked.groupBy("_grp", "_part", "_piece").cogroup(data.groupBy("grp", "part", "piece")).applyInPandas(solve, "query_id long, vec_id long, score long")
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return local.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
 
-def _norms(vectors: DataFrame) -> dict:
-    def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        width, most = 0, 0.0
-        for batch in batches:
-            for b in batch.column("vec").to_pylist():
-                x = np.frombuffer(b, np.int64).astype(np.float64)
-                width, most = max(width, len(x)), max(most, float(x @ x))
-        yield pa.RecordBatch.from_arrays([pa.array([width], pa.int32()), pa.array([most])], ["width", "most"])
-
-    row = vectors.mapInArrow(measure, "width int, most double").agg(F.max("width").alias("width"), F.max("most").alias("most")).first()
-    return row.asDict()
-
-
 def op5_voronoi_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     return voronoi_top_k(quantised(table(spark, sf_dir, "embeddings")), F.col("vec_id") % 50 == 0, 5)
 
