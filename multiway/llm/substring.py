@@ -1,11 +1,15 @@
 """Substring deduplication with a log-structured index of window fingerprints.
 
 A window is 13 consecutive words of a document. The index holds sorted immutable runs: a run is, for each bucket of the
-hash space, the sorted 64-bit fingerprints of windows with the smallest document that has each and a second, independent
-16-bit fingerprint that verifies a match. A new batch becomes runs of its own, one per slice of texts; within a slice
-equal windows already meet, so a passage shared by millions of documents leaves each slice once. The runs of a bucket
-(old ones and new ones) are merge-joined in one task, which tells each document which of its windows occur in a document
-with a smaller id, and yields the bucket's new run. Runs are compacted into one when there are more than `fanout`.
+hash space, the sorted 64-bit fingerprints of windows with the smallest document that has each and 16 bits of a second
+fingerprint, from other bits of the words' 128-bit hashes, that verify a match. A new batch becomes runs of its own, one per slice
+of texts; within a slice equal windows already meet, so a passage shared by millions of documents leaves each slice once. The runs
+of a bucket (old ones and new ones) are merge-joined in one task, which tells each document which of its windows occur in a
+document with a smaller id, and yields the bucket's new run. Buckets are as many as the measured bytes of text ask for. When a
+tier has more than `fanout` runs they are compacted into one of the next tier, so a window is rewritten once a tier.
+
+The index is recoverable: runs have names of their own and count only once a manifest names them, and each manifest is a new
+version beside the old ones, so a batch that was lost half-way leaves the index as it was and can be fed again.
 
 A batch may hold any ids; what it removes refers to documents in the index and in the batch with smaller ids. Feeding batches in
 order of id gives the same as one batch of everything.
@@ -14,27 +18,31 @@ Fingerprints travel packed: sorted values as differences in variable-length byte
 
 Defined results: words are `[^\\x20\\x09-\\x0D]+`, unchanged; null and empty texts have none; texts of under 13 words have no window
 and stay whole; ties don't arise (ids compare strictly, so rows that repeat an id never remove from each other); rows
-without an id keep all words and lend none; an empty table gives no rows; other columns are kept as they are.
+without an id keep all words and lend none; an empty table gives no rows; other columns are kept as they are and may have any
+name.
 """
 
 from __future__ import annotations
 
-import hashlib
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import MULTIPLIERS, WordHashes, mixed, sliced_texts, stored, table, trimmed, window_hashes
+from .common import MULTIPLIERS, mixed, sliced_texts, stored, table, trimmed, unboxed, window_hashes
 
 WIDTH = 13
 #: Text bytes of which one run is made.
 RUN_BYTES = 8 << 20
-#: Runs that an index may have before they are compacted.
+#: Text bytes whose windows a bucket is to hold.
+BUCKET_BYTES = 16 << 20
+#: Runs that a tier may have before they are compacted.
 FANOUT = 4
 
 
@@ -94,16 +102,30 @@ def grouped(keys: np.ndarray, checks: np.ndarray, docs: np.ndarray) -> tuple[np.
     return order, k, c, d, starts, least
 
 
+class LongHashes(dict):
+    """128-bit xxHash of each word seen, kept for at most `room` words."""
+
+    def __init__(self, room: int = 200_000):
+        super().__init__()
+        self.room = room
+
+    def __missing__(self, word: bytes) -> bytes:
+        if len(self) >= self.room:
+            self.clear()
+        value = self[word] = xxhash.xxh3_128_digest(word)
+        return value
+
+
 class Fingerprints:
-    """Keys and checks of the windows of texts."""
+    """Keys and checks of the windows of texts: each from its own half of the words' hashes."""
 
     def __init__(self, width: int = WIDTH):
-        self.width, self.words = width, WordHashes(room=200_000)
+        self.width, self.words = width, LongHashes()
 
     def of(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-        hashes = self.words.of(words)
-        keys = window_hashes(hashes, self.width)
-        other = window_hashes(mixed(hashes), self.width, MULTIPLIERS[1])
+        halves = np.frombuffer(b"".join(map(self.words.__getitem__, words)), np.uint64).reshape(-1, 2)
+        keys = window_hashes(halves[:, 0], self.width)
+        other = window_hashes(halves[:, 1], self.width, MULTIPLIERS[1])
         return keys, (other >> np.uint64(48)).astype(np.uint16)
 
 
@@ -175,7 +197,7 @@ def runs_of(docs: DataFrame, n_buckets: int, width: int = WIDTH) -> DataFrame:
         if held:
             yield out()
 
-    return docs.filter("doc_id IS NOT NULL AND text IS NOT NULL").select("doc_id", "text").mapInArrow(lambda batches: trimmed(run(batches)), RUN_SCHEMA)
+    return docs.filter("doc_id IS NOT NULL AND text IS NOT NULL").select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(lambda batches: trimmed(run(batches)), RUN_SCHEMA)
 
 
 def merge_runs(runs: DataFrame, n_buckets: int, emit: str = "flags") -> DataFrame:
@@ -203,35 +225,35 @@ def merge_runs(runs: DataFrame, n_buckets: int, emit: str = "flags") -> DataFram
 
 
 def remove_flagged(docs: DataFrame, flags: DataFrame, n_shards: int, keep: list[str], width: int = WIDTH, original: bool = False) -> DataFrame:
-    """The kept columns, _n_words, _n_removed, _kept (the words left, joined by blanks; null for a null text) of each row.
+    """row (the kept columns), n_words, n_removed, kept (the words left, joined by blanks; null for a null text) of each row.
 
     Flags and documents (texts compressed) meet by shard in one exchange: the flags of a shard come first and are held,
     its documents stream past them. Rows without an id are spread by their text.
-    original: with _original, the text as it was, for rows that lose nothing (they then have no _kept).
+    original: with `original`, the text as it was, for rows that lose nothing (they then have no `kept`).
     """
     import zstandard
 
     def shrink(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         small = zstandard.ZstdCompressor(1)
-        for batch in sliced_texts(batches, "_text"):
-            texts = batch.column("_text").to_pylist()
+        for batch in sliced_texts(batches, "text"):
+            texts = batch.column("text").to_pylist()
             packed = pa.array([None if t is None else small.compress(t.encode()) for t in texts], pa.binary())
-            ids = batch.column("_id").to_pylist()
-            places = mixed(np.array([len(t or "") if i is None else i for i, t in zip(ids, texts, strict=True)], np.int64).view(np.uint64))
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), batch.column("_id"), pa.array((places % np.uint64(n_shards)).astype(np.int32)), packed], [*keep, "_id", "_shard", "_packed"])
+            ids = batch.column("id").to_pylist()
+            places = mixed(np.array([xxhash.xxh32_intdigest((t or "").encode()) if i is None else i for i, t in zip(ids, texts, strict=True)], np.int64).view(np.uint64))
+            yield pa.RecordBatch.from_arrays([batch.column("row"), batch.column("id"), pa.array((places % np.uint64(n_shards)).astype(np.int32)), packed], ["row", "id", "shard", "packed"])
 
-    chosen = docs.select(*keep, F.col("doc_id").cast("long").alias("_id"), F.col("text").cast("string").alias("_text"))
-    packed = chosen.mapInArrow(shrink, chosen.drop("_text").schema.add("_shard", T.IntegerType()).add("_packed", "binary"))
-    lists = flags.select(F.col("shard").alias("_shard"), F.lit(0).alias("_kind"), F.col("ids").alias("_ids"), F.col("places").alias("_counts"), F.col("keys").alias("_keys"))
-    met = packed.withColumn("_kind", F.lit(1)).unionByName(lists, allowMissingColumns=True).repartition("_shard").sortWithinPartitions("_shard", "_kind")
-    output = [*keep, "_n_words", "_n_removed", "_kept", "_original"]
+    chosen = docs.select(F.struct(*[F.col(f"`{c}`") for c in keep]).alias("row"), F.col("doc_id").cast("long").alias("id"), F.col("text").cast("string").alias("text"))
+    packed = chosen.mapInArrow(shrink, chosen.drop("text").schema.add("shard", T.IntegerType()).add("packed", "binary"))
+    lists = flags.select("shard", F.lit(0).alias("kind"), "ids", F.col("places").alias("counts"), "keys")
+    met = packed.withColumn("kind", F.lit(1)).unionByName(lists, allowMissingColumns=True).repartition("shard").sortWithinPartitions("shard", "kind")
+    output = ["row", "n_words", "n_removed", "kept", "original"]
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         large, fingerprints, shard, flagged = zstandard.ZstdDecompressor(), Fingerprints(width), None, {}
         for whole in batches:
             for batch in (whole.slice(i, 256) for i in range(0, whole.num_rows, 256)):
                 counts, removed, texts, untouched, rows = [], [], [], [], []
-                for at, (own, kind, ids, numbers, keys, doc, data) in enumerate(zip(*(batch.column(c).to_pylist() for c in ("_shard", "_kind", "_ids", "_counts", "_keys", "_id", "_packed")), strict=True)):
+                for at, (own, kind, ids, numbers, keys, doc, data) in enumerate(zip(*(batch.column(c).to_pylist() for c in ("shard", "kind", "ids", "counts", "keys", "id", "packed")), strict=True)):
                     if own != shard:
                         shard, flagged = own, {}
                     if not kind:
@@ -258,59 +280,98 @@ def remove_flagged(docs: DataFrame, flags: DataFrame, n_shards: int, keep: list[
                     texts.append(None if data is None or intact else b" ".join(words).decode())
                     untouched.append(raw.decode() if intact and data is not None else None)
                 columns = [pa.array(counts, pa.int64()), pa.array(removed, pa.int64()), pa.array(texts, pa.string()), pa.array(untouched, pa.string())]
-                yield pa.RecordBatch.from_arrays([*(batch.column(c).take(pa.array(rows, pa.int64())) for c in keep), *columns], output)
+                yield pa.RecordBatch.from_arrays([batch.column("row").take(pa.array(rows, pa.int64())), *columns], output)
+
+    schema = chosen.select("row").schema.add("n_words", "long").add("n_removed", "long").add("kept", "string").add("original", "string")
+    return met.mapInArrow(lambda batches: trimmed(cut(batches)), schema)
+
 
-    return met.mapInArrow(lambda batches: trimmed(cut(batches)), chosen.select(*keep).schema.add("_n_words", "long").add("_n_removed", "long").add("_kept", "string").add("_original", "string"))
+def buckets_for(docs: DataFrame) -> int:
+    """As many buckets as the measured text asks for, at least one for each shuffle partition."""
+    total = docs.agg(F.sum(F.octet_length(F.col("text").cast("string")))).first()[0] or 0
+    return max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-total // BUCKET_BYTES))
 
 
 class SubstringIndex:
-    """Runs of all batches so far, under one shared folder; a manifest names those that count."""
+    """Runs of all batches so far, under one shared folder; the newest manifest names those that count.
+
+    n_buckets holds for the life of an index: buckets_for() of the text it is to hold in the end.
+    """
 
     def __init__(self, spark: SparkSession, path: str, n_buckets: int, width: int = WIDTH, fanout: int = FANOUT):
         self.spark, self.path, self.n_buckets, self.width, self.fanout = spark, path.rstrip("/"), n_buckets, width, fanout
-        self.runs: list[int] = []
-        self.next = 0
+        self.runs: list[tuple[int, str]] = []  # tier, name
+        self.version = 0
 
     def _commit(self) -> None:
-        self.spark.createDataFrame([(r, self.next, self.n_buckets, self.width, self.fanout) for r in self.runs], "run long, next long, n_buckets int, width int, fanout int").coalesce(1).write.mode("overwrite").parquet(f"{self.path}/manifest")
+        """A new manifest beside the old ones; the task output's own commit makes it whole or absent."""
+        self.version += 1
+        rows = [(t, r, self.n_buckets, self.width, self.fanout) for t, r in self.runs]
+        self.spark.createDataFrame(rows, "tier int, run string, n_buckets int, width int, fanout int").coalesce(1).write.mode("overwrite").parquet(f"{self.path}/manifest-{self.version}")
 
     @classmethod
     def open(cls, spark: SparkSession, path: str) -> SubstringIndex:
-        rows = spark.read.parquet(f"{path.rstrip('/')}/manifest").collect()
+        """The index as its newest whole manifest says."""
+        jvm, path = spark._jvm, path.rstrip("/")
+        folder = jvm.org.apache.hadoop.fs.Path(path)
+        files = folder.getFileSystem(spark._jsc.hadoopConfiguration())
+        names = [s.getPath().getName() for s in files.listStatus(folder)]
+        versions = [int(n.split("-")[1]) for n in names if n.startswith("manifest-") and files.exists(jvm.org.apache.hadoop.fs.Path(f"{path}/{n}/_SUCCESS"))]
+        rows = spark.read.parquet(f"{path}/manifest-{max(versions)}").collect()
         index = cls(spark, path, rows[0]["n_buckets"], rows[0]["width"], rows[0]["fanout"])
-        index.runs, index.next = sorted(r["run"] for r in rows), rows[0]["next"]
+        index.runs, index.version = sorted((r["tier"], r["run"]) for r in rows), max(versions)
         return index
 
-    def _history(self) -> DataFrame | None:
-        return self.spark.read.schema(RUN_SCHEMA).parquet(*(f"{self.path}/run-{r}" for r in self.runs)) if self.runs else None
+    def _read(self, runs: list[tuple[int, str]]) -> DataFrame:
+        return self.spark.read.schema(RUN_SCHEMA).parquet(*(f"{self.path}/{name}" for _, name in runs))
+
+    def _write(self, runs: DataFrame) -> str:
+        name = f"run-{uuid.uuid4().hex}"
+        merge_runs(runs, self.n_buckets, "run").write.parquet(f"{self.path}/{name}")
+        return name
 
     def dedup(self, docs: DataFrame, keep: list[str]) -> DataFrame:
         """remove_flagged() of a batch against the index and itself; its windows become a run of the index."""
         fresh = stored(runs_of(docs, self.n_buckets, self.width))
-        history = self._history()
-        flags = stored(merge_runs(fresh if history is None else fresh.unionByName(history), self.n_buckets))
-        merge_runs(fresh.filter("bucket >= 0"), self.n_buckets, "run").write.parquet(f"{self.path}/run-{self.next}")
-        self.runs.append(self.next)
-        self.next += 1
-        if len(self.runs) > self.fanout:
-            self.compact()
+        flags = stored(merge_runs(fresh.unionByName(self._read(self.runs)) if self.runs else fresh, self.n_buckets))
+        self.runs.append((0, self._write(fresh.filter("bucket >= 0"))))
+        self.compact()
         self._commit()
         return remove_flagged(docs, flags, self.n_buckets, keep, self.width)
 
     def compact(self) -> None:
-        merge_runs(self._history(), self.n_buckets, "run").write.parquet(f"{self.path}/run-{self.next}")
-        self.runs, self.next = [self.next], self.next + 1
+        """Merge the runs of every tier that has more than `fanout` into one of the next tier."""
+        tier = 0
+        while tier <= max(t for t, _ in self.runs):
+            own = [r for r in self.runs if r[0] == tier]
+            if len(own) > self.fanout:
+                self.runs = [r for r in self.runs if r[0] != tier] + [(tier + 1, self._write(self._read(own)))]
+            tier += 1
 
 
 def dedup_batch(docs: DataFrame, keep: list[str], width: int = WIDTH, original: bool = False) -> DataFrame:
-    """remove_flagged() of one batch against an empty index; as many buckets as the session has shuffle partitions."""
-    n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    """remove_flagged() of one batch against an empty index."""
+    n = buckets_for(docs)
     return remove_flagged(docs, merge_runs(runs_of(docs, n, width), n), n, keep, width, original)
 
 
+def without_repeats(docs: DataFrame) -> DataFrame:
+    """All columns of documents, texts without the words of passages that a document with a smaller id has.
+
+    A text that loses nothing stays as it is; one that does has its words joined by blanks, and its n_chars, if there is such a
+    column of a number, counted anew; a document left without a word goes.
+    """
+    out = dedup_batch(docs, [c for c in docs.columns if c != "text"], original=True).filter("n_removed = 0 OR n_removed < n_words")
+    old = F.col("row")
+    new = {"text": F.when(F.col("n_removed") > 0, F.col("kept")).otherwise(F.col("original")).cast(docs.schema["text"].dataType)}
+    if "n_chars" in docs.columns and isinstance(docs.schema["n_chars"].dataType, T.NumericType):
+        new["n_chars"] = F.when(F.col("n_removed") > 0, F.length("kept")).otherwise(old["n_chars"]).cast(docs.schema["n_chars"].dataType)
+    return out.select(*[(new[c] if c in new else old[c]).alias(c) for c in docs.columns])
+
+
 def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = dedup_batch(table(spark, sf_dir, "documents"), ["doc_id"])
-    return out.select("doc_id", F.col("_n_words").alias("n_words"), F.col("_n_removed").alias("n_removed"), F.sha2(F.coalesce("_kept", F.lit("")).cast("binary"), 256).alias("kept_sha256"))
+    return unboxed(out, "n_words", "n_removed", F.sha2(F.coalesce("kept", F.lit("")).cast("binary"), 256).alias("kept_sha256"))
 
 
 _SQL_WORDS = r"regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')"
