@@ -1,30 +1,33 @@
 """Quality classifier: naive Bayes support vectors over n-gram indicators.
 
-A text becomes a stream of symbols: a class for each character (small letter, capital, digit, blank, line end, and kinds of
-punctuation; runs are cut at two) and, beside it, a stream over words that says whether a word repeats the one before
-or one of the last few. Indicators of their n-grams are scaled by the log-ratio of class counts, and a linear model with
-squared hinge loss is fitted to them by dual coordinate descent; its margins are made probabilities by a logistic fit.
+Three kinds of n-grams are indicators: hashed word unigrams and bigrams (small letters of a word as it stands between white
+space); n-grams of one to four character classes (small letter, capital, digit, blank, line end, and kinds of punctuation; runs are
+cut at two), which see shape and junk but no wording; and n-grams over a stream that says of each word whether it repeats the one
+before or one of the REPEATS before that. Indicators are scaled by the log-ratio of class counts, and a linear model with squared
+hinge loss is fitted to them by dual coordinate descent; its margins are made probabilities by a logistic fit.
 
 Defined results: null and empty texts have no n-grams and get the score of the intercept; texts are read whole whatever their
 length; rows keep their multiplicity; with no labelled row of one class every score is the share of label 1 (0.5 if there
-are none); labels, lang, source and doc_id never enter a score.
+are none); labels, lang, source and doc_id never enter a score; the fit doesn't depend on the order of rows; other columns may
+have any name.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
-from operator import eq
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import sliced_texts, table
+from .common import MULTIPLIERS, WordHashes, boxed, mixed, sliced_texts, table, unboxed
 from .labelled import TRAIN_ROWS, fit_logistic, held_out, logistic, training_rows
 
 ORDER = 4
+#: How far back a word is looked for, and buckets of hashed word n-grams (a power of two).
+REPEATS, BUCKETS = 8, 1 << 16
 
 
 def _classes() -> np.ndarray:
@@ -36,9 +39,9 @@ def _classes() -> np.ndarray:
 
 
 KINDS, ALPHABET = _classes(), 14
-#: Codes of character n-grams of each order, then of word-repeat n-grams of orders 1 to 4 over three symbols.
+#: Codes of character n-grams of each order, then of word-repeat n-grams of orders 1 to 4 over three symbols, then word n-grams.
 STARTS = np.cumsum([0, *(ALPHABET**n for n in range(1, ORDER + 1)), *(3**n for n in range(1, ORDER + 1))])
-N_FEATURES = int(STARTS[-1])
+N_FEATURES = int(STARTS[-1]) + BUCKETS
 
 
 def _grams(symbols: np.ndarray, base: int, first: int, seen: np.ndarray) -> None:
@@ -50,7 +53,7 @@ def _grams(symbols: np.ndarray, base: int, first: int, seen: np.ndarray) -> None
         code = code[:-1] * base + symbols[n:]
 
 
-def active(text: str | None) -> np.ndarray:
+def active(text: str | None, hashes: WordHashes | None = None) -> np.ndarray:
     """Sorted codes of the n-grams that a text has."""
     raw = (text or "").encode()
     if not raw:
@@ -60,14 +63,16 @@ def active(text: str | None) -> np.ndarray:
     if len(kinds) > 2:
         kinds = kinds[np.concatenate([[True, True], (kinds[2:] != kinds[1:-1]) | (kinds[2:] != kinds[:-2])])]
     _grams(kinds, ALPHABET, 0, seen)
-    words = raw.split()
+    words = raw.lower().split()
     if words:
-        last = np.fromiter(map(eq, words[1:], words), bool, len(words) - 1)
-        back = np.fromiter(map(eq, words[2:], words), bool, max(0, len(words) - 2))
+        known = (hashes if hashes is not None else WordHashes()).of(words)
         repeat = np.zeros(len(words), np.int64)
-        repeat[2:][back] = 1
-        repeat[1:][last] = 2
+        for back in range(min(REPEATS, len(words) - 1), 0, -1):
+            repeat[back:][known[back:] == known[:-back]] = 2 if back == 1 else 1
         _grams(repeat, 3, ORDER, seen)
+        pairs = mixed(known[:-1] * MULTIPLIERS[0] + known[1:])
+        for grams in (known, pairs):
+            seen[int(STARTS[-1]) + (mixed(grams) >> np.uint64(48)).astype(np.int64) % BUCKETS] = True
     return np.flatnonzero(seen)
 
 
@@ -90,8 +95,8 @@ class NbSvm:
             return self.bias
         return float(self.weights[codes].sum() / max(1e-9, np.sqrt((self.ratio[codes] ** 2).sum())) + self.bias)
 
-    def score(self, text: str | None) -> float:
-        return float(logistic(self.slope * self.margin(active(text)) + self.offset))
+    def score(self, text: str | None, hashes: WordHashes | None = None) -> float:
+        return float(logistic(self.slope * self.margin(active(text, hashes)) + self.offset))
 
 
 def dual_descent(rows: list[np.ndarray], ratio: np.ndarray, y: np.ndarray, cost: np.ndarray, sweeps: int = 30) -> tuple[np.ndarray, float]:
@@ -144,30 +149,39 @@ def fit_codes(rows: list[np.ndarray], labels: list[int], min_rows: int = 3) -> N
 
 def fit_quality(docs: DataFrame, labels: DataFrame, limit: int = TRAIN_ROWS) -> NbSvm:
     """Fitted on at most `limit` labelled rows outside the held-out fold."""
-    rows = training_rows(docs, labels, "quality", limit)
-    packed = rows.mapInArrow(_packed, "codes binary, label int").collect()
-    return fit_codes([np.frombuffer(r["codes"], np.uint16).astype(np.int64) for r in packed], [r["label"] for r in packed])
+    packed = training_rows(docs, labels, "quality", limit).mapInArrow(_packed, "doc_id long, codes binary, label int").collect()
+    packed.sort(key=lambda r: r["doc_id"])
+    return fit_codes([np.frombuffer(r["codes"], np.uint32).astype(np.int64) for r in packed], [r["label"] for r in packed])
 
 
 def _packed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    hashes = WordHashes()
     for batch in sliced_texts(batches, "text"):
-        codes = [active(t).astype(np.uint16).tobytes() for t in batch.column("text").to_pylist()]
-        yield pa.RecordBatch.from_arrays([pa.array(codes, pa.binary()), batch.column("label")], ["codes", "label"])
+        codes = [active(t, hashes).astype(np.uint32).tobytes() for t in batch.column("text").to_pylist()]
+        yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), pa.array(codes, pa.binary()), batch.column("label")], ["doc_id", "codes", "label"])
 
 
 def score_quality(docs: DataFrame, model: NbSvm, keep: list[str], text_col: str = "text", out: str = "score") -> DataFrame:
     """The kept columns and `out`: one scan, no shuffle."""
+    return unboxed(_scored(docs, model, keep, text_col), F.col("score").alias(out))
+
+
+def of_quality(docs: DataFrame, model: NbSvm, least: float = 0.5) -> DataFrame:
+    """All columns of the documents that score `least` or more."""
+    return unboxed(_scored(docs, model, docs.columns).filter(F.col("score") >= least))
+
+
+def _scored(docs: DataFrame, model: NbSvm, keep: list[str], text_col: str = "text") -> DataFrame:
     shared = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m = shared.value
-        for batch in sliced_texts(batches, "_text"):
-            scores = pa.array([m.score(t) for t in batch.column("_text").to_pylist()], pa.float64())
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), scores], [*keep, out])
-
-    chosen = docs.select(*keep, F.col(text_col).cast("string").alias("_text"))
-    schema = chosen.select(*keep).schema.add(out, "double")
-    return chosen.mapInArrow(run, schema)
+        m, hashes = shared.value, WordHashes()
+        for batch in sliced_texts(batches, "text"):
+            scores = pa.array([m.score(t, hashes) for t in batch.column("text").to_pylist()], pa.float64())
+            yield pa.RecordBatch.from_arrays([batch.column("row"), scores], ["row", "score"])
+
+    chosen = boxed(docs, keep, text_col)
+    return chosen.mapInArrow(run, chosen.select("row").schema.add("score", "double"))
 
 
 def op6_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
