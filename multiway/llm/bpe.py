@@ -7,15 +7,16 @@ left neighbour and the absorbed one) and the paths above them: O(log n) each. Sh
 yet are encoded together, one tree per row of a matrix, step by step; long ones have a tree of their own. Results
 are kept by match in a bounded store.
 
-Defined results: a null text is empty and has no ids; texts are encoded whole; repeated rows give repeated results.
+Defined results: a null text is empty and has no ids; texts are encoded whole; repeated rows give repeated results; an empty
+table gives none; other columns may have any name.
 """
 
 from __future__ import annotations
 
 import base64
 import hashlib
+import pickle
 from collections.abc import Iterator
-from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
@@ -24,7 +25,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import sliced_texts, table, trimmed
+from .common import boxed, sliced_texts, table, trimmed, unboxed
 
 NONE = np.int64(1 << 40)
 #: Matches up to this many bytes are encoded side by side; the store keeps so many matches.
@@ -243,47 +244,62 @@ class Encoder:
         return b"".join(map(self.tokens.__getitem__, ids))
 
 
-@lru_cache(1)
-def _encoder(path: str) -> Encoder:
-    import public_tokenizers
+#: The encoder of a worker process.
+_ENCODERS: dict[str, Encoder] = {}
+
+
+class Ranks:
+    """Ranks as broadcast to the executors, which need no file of their own: the driver reads it once."""
+
+    def __init__(self, spark: SparkSession, path: str | None):
+        import public_tokenizers
+
+        data = pickle.dumps(read_ranks(path or default_ranks_path()))
+        self.pattern, self.name = public_tokenizers.PATTERN, hashlib.sha256(data).hexdigest()
+        self.shared = spark.sparkContext.broadcast(data)
 
-    return Encoder(read_ranks(path), public_tokenizers.PATTERN)
+    def encoder(self) -> Encoder:
+        if self.name not in _ENCODERS:
+            _ENCODERS.clear()
+            _ENCODERS[self.name] = Encoder(pickle.loads(self.shared.value), self.pattern)
+        return _ENCODERS[self.name]
 
 
 def encoded(docs: DataFrame, keep: list[str], path: str | None = None, ids: bool = False, text_col: str = "text") -> DataFrame:
     """The kept columns, n_tokens, ids_sha256, decoded_sha256 and, if asked, the ids: one scan, no shuffle."""
-    path = path or default_ranks_path()
+    ranks = Ranks(docs.sparkSession, path)
+    names = ["n_tokens", "ids_sha256", "decoded_sha256", "ids"][: 4 if ids else 3]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = _encoder(path)
-        for batch in sliced_texts(batches, "_text"):
-            texts = [t or "" for t in batch.column("_text").to_pylist()]
+        encoder = ranks.encoder()
+        for batch in sliced_texts(batches, "text"):
+            texts = [t or "" for t in batch.column("text").to_pylist()]
             rows = []
             for got in encoder.results(texts):
                 line = ",".join([g[1] for g in got])
                 row = [sum([g[0] for g in got]), hashlib.sha256(line.encode()).hexdigest(), hashlib.sha256(b"".join([g[2] for g in got])).hexdigest()]
                 rows.append([*row, [int(x) for x in line.split(",")] if ids and line else []])
-            columns = list(zip(*rows, strict=True))[: 4 if ids else 3]
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), *(pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.string(), pa.string(), pa.list_(pa.int32())), strict=False))], [*keep, "n_tokens", "ids_sha256", "decoded_sha256", "ids"][: len(keep) + len(columns)])
+            columns = list(zip(*rows, strict=True))[: len(names)]
+            yield pa.RecordBatch.from_arrays([batch.column("row"), *(pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.string(), pa.string(), pa.list_(pa.int32())), strict=False))], ["row", *names])
         encoder.forget()
 
-    chosen = docs.select(*keep, F.col(text_col).cast("string").alias("_text"))
-    schema = chosen.select(*keep).schema.add("n_tokens", "long").add("ids_sha256", "string").add("decoded_sha256", "string")
-    return chosen.mapInArrow(lambda batches: trimmed(run(batches)), schema.add("ids", T.ArrayType(T.IntegerType())) if ids else schema)
+    chosen = boxed(docs, keep, text_col)
+    schema = chosen.select("row").schema.add("n_tokens", "long").add("ids_sha256", "string").add("decoded_sha256", "string")
+    return unboxed(chosen.mapInArrow(lambda batches: trimmed(run(batches)), schema.add("ids", T.ArrayType(T.IntegerType())) if ids else schema), *names)
 
 
 def decoded(tokens: DataFrame, keep: list[str], path: str | None = None, ids_col: str = "ids") -> DataFrame:
     """The kept columns and the text that the ids stand for (invalid UTF-8 is replaced)."""
-    path = path or default_ranks_path()
+    ranks = Ranks(tokens.sparkSession, path)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder = _encoder(path)
+        encoder = ranks.encoder()
         for batch in batches:
-            texts = pa.array([encoder.decode(x or []).decode("utf-8", "replace") for x in batch.column("_ids").to_pylist()], pa.string())
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), texts], [*keep, "text"])
+            texts = pa.array([encoder.decode(x or []).decode("utf-8", "replace") for x in batch.column("ids").to_pylist()], pa.string())
+            yield pa.RecordBatch.from_arrays([batch.column("row"), texts], ["row", "text"])
 
-    chosen = tokens.select(*keep, F.col(ids_col).alias("_ids"))
-    return chosen.mapInArrow(run, chosen.select(*keep).schema.add("text", "string"))
+    chosen = tokens.select(F.struct(*[F.col(f"`{c}`") for c in keep]).alias("row"), F.col(ids_col).alias("ids"))
+    return unboxed(chosen.mapInArrow(run, chosen.select("row").schema.add("text", "string")), "text")
 
 
 def op8_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
