@@ -1,14 +1,17 @@
 """Licence scan with a trained paragraph classifier.
 
 A paragraph (line) becomes indicators of its word n-grams (one to three words). A softmax regression with an L1 penalty, fitted
-by proximal gradient steps, tells licence families, an `other` class of plain text, and so leaves few n-grams with weight. Its
-training rows are the templates below in deterministic variations, legal-sounding decoys, and lines of a bounded sample of
-the documents. Probabilities are calibrated by a temperature fitted on variations held back; a paragraph that isn't
-plain text but reaches no family's confidence is `unknown`. A family counts only if a comparison with its templates
-confirms it: enough of the paragraph's trigrams must be in one template, or of a template's in the paragraph.
+by proximal gradient steps, tells licence families, `unknown` (licence language of no family here) and `other` (plain text), and
+leaves few n-grams with weight. Its training rows are the templates and foreign notices below in deterministic variations,
+legal-sounding decoys, and lines of a bounded sample of the documents, drawn evenly from whole documents. Probabilities are
+calibrated by a temperature: it is fitted on variations of templates, notices and lines that the model it is
+fitted with never saw. A family counts only if a comparison with its templates confirms it: enough of the
+paragraph's trigrams must be in one template, or of a template's in the paragraph; what isn't plain text and has no confirmed
+family is `unknown`.
 
 Defined results: null and empty texts have no paragraphs; texts are read whole; repeated rows are scanned alike; an empty
-table gives no rows; a paragraph without an n-gram that has weight is plain text, which the model's intercepts say too.
+table gives no rows; a paragraph without a word that any weighted n-gram has is plain text, which the model's intercepts say too;
+other columns may have any name.
 """
 
 from __future__ import annotations
@@ -22,17 +25,17 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import sliced_texts, table
+from .common import boxed, sliced_texts, table, unboxed
 from .decontaminate import words_of
 
-#: Documents whose lines serve as plain text in training, at most, and lines taken of each.
-SAMPLE_DOCS, SAMPLE_LINES = 400, 5
+#: Documents whose lines serve as plain text in training, and lines taken of them all, at most.
+SAMPLE_DOCS, SAMPLE_LINES = 400, 2000
 CONFIDENCE, CONFIRMATION = 0.5, 0.6
 
 # Short notices by which the families are known.
 TEMPLATES = {
-    "MIT": ["Released under the MIT License.", "This project is licensed under the terms of the MIT license.", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files, to deal in the Software without restriction", "The software is provided as is, without warranty of any kind, express or implied, including but not limited to the warranties of merchantability"],
-    "Apache-2.0": ["Licensed under the Apache License, Version 2.0.", "Licensed under the Apache License, Version 2.0 (the License); you may not use this file except in compliance with the License.", "Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an as is basis, without warranties or conditions of any kind"],
+    "MIT": ["SPDX-License-Identifier: MIT", "Released under the MIT License.", "This project is licensed under the terms of the MIT license.", "Permission is hereby granted, free of charge, to any person obtaining a copy of this software and associated documentation files, to deal in the Software without restriction", "The software is provided as is, without warranty of any kind, express or implied, including but not limited to the warranties of merchantability"],
+    "Apache-2.0": ["SPDX-License-Identifier: Apache-2.0", "Licensed under the Apache License, Version 2.0.", "Licensed under the Apache License, Version 2.0 (the License); you may not use this file except in compliance with the License.", "Unless required by applicable law or agreed to in writing, software distributed under the License is distributed on an as is basis, without warranties or conditions of any kind"],
     "GPL-3.0": ["This work is licensed under the GNU General Public License, version 3.", "This program is free software: you can redistribute it and/or modify it under the terms of the GNU General Public License as published by the Free Software Foundation, either version 3 of the License", "You should have received a copy of the GNU General Public License along with this program."],
     "BSD": ["Licensed under the BSD 3-Clause License.", "Use of this source code is governed by a BSD-style license.", "Redistribution and use in source and binary forms, with or without modification, are permitted provided that the following conditions are met"],
     "CC-BY": ["This work is licensed under a Creative Commons Attribution 4.0 International License.", "Licensed under CC BY 4.0.", "Content is available under CC BY 4.0 unless otherwise noted."],
@@ -42,10 +45,12 @@ TEMPLATES = {
     "Public-domain": ["This work has been released into the public domain.", "To the extent possible under law, the author has dedicated all copyright to the public domain worldwide under CC0 1.0."],
     "Proprietary": ["All rights reserved.", "Copyright. All rights reserved. No part of this publication may be reproduced without prior written permission of the publisher."],
 }
+# Notices of licences that are none of the families.
+FOREIGN = ["Boost Software License - Version 1.0", "Distributed under the Boost Software License, Version 1.0.", "Permission to use, copy, modify, and/or distribute this software for any purpose with or without fee is hereby granted", "This software is provided 'as-is', without any express or implied warranty. In no event will the authors be held liable for any damages", "Licensed under the Eclipse Public License 2.0.", "This program and the accompanying materials are made available under the terms of the Eclipse Public License", "Licensed under the GPLv2 or later.", "Released under the GNU General Public License version 2 only.", "Licensed under the GNU Lesser General Public License, version 2.1.", "Released under the terms of the ISC license.", "Licensed under the zlib license.", "This package is distributed under the Artistic License 2.0.", "Licensed under the European Union Public Licence, version 1.2.", "SPDX-License-Identifier: BSL-1.0", "SPDX-License-Identifier: GPL-2.0-or-later", "This source code is licensed under the license found in the LICENSE file.", "Use of this software is subject to the end user license agreement.", "The contents of this file are subject to the Common Development and Distribution License"]
 # Sentences that sound alike and are no licence.
 DECOYS = ["The driver renewed a licence at the office.", "A public version of the work was released by the general.", "The terms of the agreement were discussed under the table.", "Permission to enter was granted by the person in charge.", "The software is distributed with a copy of the manual.", "Civil rights were reserved for citizens by law.", "Apache helicopters and a foundation of concrete.", "This program is free for students with a public library card.", "The source of the river was commonly known.", "version 2.0 of the plan was notable"]
 FAMILIES = tuple(TEMPLATES)
-OTHER = len(FAMILIES)
+UNKNOWN, OTHER = len(FAMILIES), len(FAMILIES) + 1
 
 
 def n_grams(words: list[str], most: int = 3) -> set[str]:
@@ -94,7 +99,7 @@ class LicenceModel:
         p = self.probabilities(words)
         if p[OTHER] >= 0.5:
             return None
-        best = int(p[:OTHER].argmax())
+        best = int(p[:UNKNOWN].argmax())
         if p[best] >= CONFIDENCE and self.confirmed(words, best):
             return FAMILIES[best], float(p[best])
         return "unknown", float(1 - p[OTHER])
@@ -129,41 +134,51 @@ def softmax_l1(x: np.ndarray, y: np.ndarray, classes: int, penalty: float = 2e-4
     return w
 
 
-def fit_licences(docs: DataFrame, docs_limit: int = SAMPLE_DOCS) -> LicenceModel:
-    """Templates, decoys and lines of at most docs_limit documents; only n-grams of templates that plain lines lack count."""
+def sample_lines(docs: DataFrame, docs_limit: int, lines_limit: int) -> list[str]:
+    """Lines of a bounded number of documents: documents by a hash of the id, lines by a hash of id and place, whole lines."""
+    # Ids are chosen first: only the chosen documents are cut into lines, however many tasks there are.
+    chosen = docs.select("doc_id").filter("text IS NOT NULL AND doc_id IS NOT NULL").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(docs_limit)
+    lines = docs.select("doc_id", F.col("text").cast("string").alias("text")).join(F.broadcast(chosen), "doc_id").select("doc_id", F.posexplode(F.split("text", "\n")).alias("k", "line")).filter("trim(line) <> ''")
+    return [r["line"] for r in lines.orderBy(F.xxhash64("doc_id", "k"), "doc_id", "k", "line").limit(lines_limit).collect()]
+
+
+def fit_licences(docs: DataFrame, docs_limit: int = SAMPLE_DOCS, lines_limit: int = SAMPLE_LINES) -> LicenceModel:
+    """Templates, foreign notices, decoys and sampled lines; only n-grams of templates and notices that plain lines lack count."""
     random = np.random.default_rng(5)
-    # Ids are chosen first: only the chosen documents' lines then come to the driver, however many tasks there are.
-    chosen = docs.select("doc_id").filter("text IS NOT NULL AND doc_id IS NOT NULL").orderBy(F.xxhash64("doc_id"), "doc_id").limit(docs_limit).distinct()
-    sample = docs.join(F.broadcast(chosen), "doc_id").select(F.slice(F.split(F.col("text"), "\n"), 1, SAMPLE_LINES).alias("lines")).limit(docs_limit).collect()
+    sources = [(k, tokens(t)) for k, texts in enumerate([*TEMPLATES.values(), FOREIGN]) for t in texts]
     # A line that is (nearly) a template must not teach the model that it is plain text.
-    known = [n_grams(tokens(t), 2) for texts in TEMPLATES.values() for t in texts]
-    plain = [w for r in sample for line in r["lines"] or [] if (w := tokens(line[:2000])) and max(len(n_grams(w, 2) & k) / len(k) for k in known) < 0.4]
-    rows, labels = [], []
-    for k, texts in enumerate(TEMPLATES.values()):
-        for t in texts:
-            for words in variations(tokens(t), 12, random):
-                rows.append(n_grams(words))
-                labels.append(k)
-    common: dict[str, int] = {}
-    for words in plain:
-        for g in n_grams(words):
-            common[g] = common.get(g, 0) + 1
-    index: dict[str, int] = {}
+    known = [n_grams(words, 2) for _, words in sources]
+    plain = [w for line in sample_lines(docs, docs_limit, lines_limit) if (w := tokens(line)) and max(len(n_grams(w, 2) & k) / len(k) for k in known) < 0.4]
+    # The held part: the last template of each family that has three, each fourth notice, decoy and line.
+    rows, labels, held = [], [], []
+
+    def add(words: list[str], label: int, apart: bool) -> None:
+        rows.append(n_grams(words))
+        labels.append(label)
+        held.append(apart)
+
+    for k, words in sources:
+        own = [w for c, w in sources if c == k]
+        apart = (k < UNKNOWN and len(own) > 2 and words is own[-1]) or (k == UNKNOWN and own.index(words) % 4 == 3)
+        for varied in variations(words, 12, random):
+            add(varied, k, apart)
+    candidates: dict[str, int] = {}
     for grams in rows:
         for g in sorted(grams):
-            if common.get(g, 0) <= max(1, len(plain) // 500):
-                index.setdefault(g, len(index))
-    for words in [*map(tokens, DECOYS), *plain]:
-        rows.append(n_grams(words))
-        labels.append(OTHER)
-    for _ in range(5):
-        rows += [n_grams(tokens(d)) for d in DECOYS]
-        labels += [OTHER] * len(DECOYS)
+            candidates.setdefault(g, 0)
+    for words in plain:
+        for g in n_grams(words) & candidates.keys():
+            candidates[g] += 1
+    index = {g: k for k, g in enumerate(g for g, n in candidates.items() if n <= max(1, len(plain) // 500))}
+    for repeat in range(6):
+        for k, d in enumerate(DECOYS):
+            add(tokens(d), OTHER, k % 4 == 3 and repeat == 0)
+    for k, words in enumerate(plain):
+        add(words, OTHER, k % 4 == 3)
     x = np.zeros((len(rows), len(index)), np.float32)
     for i, grams in enumerate(rows):
-        x[i, [index[g] for g in grams if g in index]] = 1
-    y = np.array(labels)
-    held = np.arange(len(y)) % 4 == 3
+        x[i, [index[g] for g in grams & index.keys()]] = 1
+    y, held = np.array(labels), np.array(held)
     part = softmax_l1(x[~held], y[~held], OTHER + 1)
     z = np.hstack([x[held], np.ones((held.sum(), 1))]) @ part
     losses = []
@@ -177,24 +192,24 @@ def fit_licences(docs: DataFrame, docs_limit: int = SAMPLE_DOCS) -> LicenceModel
 
 
 def scan_licences(docs: DataFrame, model: LicenceModel, keep: list[str], text_col: str = "text") -> DataFrame:
-    """The kept columns, n_paragraphs, found (family, probability, paragraph): one scan, no shuffle."""
+    """row (the kept columns), n_paragraphs, found (family, probability, paragraph): one scan, no shuffle."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
     item = pa.struct([("family", pa.string()), ("probability", pa.float64()), ("paragraph", pa.int32())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = shared.value
-        for batch in sliced_texts(batches, "_text"):
-            counts, found = zip(*(m.scan(t) for t in batch.column("_text").to_pylist()), strict=True)
+        for batch in sliced_texts(batches, "text"):
+            counts, found = zip(*(m.scan(t) for t in batch.column("text").to_pylist()), strict=True)
             rows = [[{"family": f, "probability": p, "paragraph": k} for f, p, k in x] for x in found]
-            yield pa.RecordBatch.from_arrays([*(batch.column(c) for c in keep), pa.array(counts, pa.int32()), pa.array(rows, pa.list_(item))], [*keep, "n_paragraphs", "found"])
+            yield pa.RecordBatch.from_arrays([batch.column("row"), pa.array(counts, pa.int32()), pa.array(rows, pa.list_(item))], ["row", "n_paragraphs", "found"])
 
-    chosen = docs.select(*keep, F.col(text_col).cast("string").alias("_text"))
-    row = T.StructType().add("family", "string").add("probability", "double").add("paragraph", T.IntegerType())
-    return chosen.mapInArrow(run, chosen.select(*keep).schema.add("n_paragraphs", T.IntegerType()).add("found", T.ArrayType(row)))
+    chosen = boxed(docs, keep, text_col)
+    one = T.StructType().add("family", "string").add("probability", "double").add("paragraph", T.IntegerType())
+    return chosen.mapInArrow(run, chosen.select("row").schema.add("n_paragraphs", T.IntegerType()).add("found", T.ArrayType(one)))
 
 
 def op2_licence_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     found = scan_licences(docs, fit_licences(docs), ["doc_id"])
     families = F.array_sort(F.array_distinct(F.transform("found", lambda f: f["family"])))
-    return found.select("doc_id", "n_paragraphs", F.array_join(families, ",").alias("licences"), F.size("found").alias("n_matches"), F.coalesce(F.array_max(F.transform("found", lambda f: f["probability"])), F.lit(0.0)).alias("best_probability"))
+    return unboxed(found, "n_paragraphs", F.array_join(families, ",").alias("licences"), F.size("found").alias("n_matches"), F.coalesce(F.array_max(F.transform("found", lambda f: f["probability"])), F.lit(0.0)).alias("best_probability"))
