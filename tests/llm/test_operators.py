@@ -61,6 +61,32 @@ def test_rebalancing_edits_the_map(spark, edges, nothing):
     assert sharding.shard_records(nothing, 3)[0].count() == 0
 
 
+def test_repeats_spread_over_slots_and_shards(spark):
+    rows = [(7, "same text", 1)] * 2000 + [(None, "copy without id", 1)] * 500 + [(i, f"text {i}", 1) for i in range(2000)] + [(99_999, None, 1)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, slot int").repartition(5)
+    placed = sharding.shard_records(docs, 8)[0].collect()
+    size, places = Counter(), defaultdict(list)
+    for r in placed:
+        size[r["shard"]] += r["size"]
+        places[r["shard"]].append(r["slot"])
+    assert len(placed) == len(rows) and max(size.values()) < 1.05 * sum(size.values()) / 8
+    assert all(sorted(p) == list(range(len(p))) for p in places.values())
+    null = next(r for r in placed if r["doc_id"] == 99_999)
+    assert (null["size"], null["text_crc32"]) == (16, 0)
+
+
+def test_the_map_is_stored_by_version(spark, docs):
+    from multiway.sources.storage import new_path
+
+    path = new_path(spark, "map")
+    _, one = sharding.shard_records(docs, 8, map_path=path)
+    placed, two = sharding.shard_records(docs, 9, slot_map=sharding.SlotMap.load(spark, path), map_path=path)
+    again = sharding.SlotMap.load(spark, path)
+    assert again.versions == two.versions and again.versions[0] == one.versions[0] and len(again.versions) == 2
+    assert {(r["virtual_slot"], r["shard"]) for r in placed.collect()} <= set(enumerate(again.current))
+    assert {r["map_version"] for r in placed.collect()} == {1}
+
+
 # Licences
 
 
@@ -69,10 +95,51 @@ def test_licence_families(spark, docs, edges, nothing):
     for line, family in (("Released under the MIT License.", "MIT"), ("Licensed under the Apache License, Version 2.0.", "Apache-2.0"), ("Licensed under CC BY-NC 4.0.", "CC-BY-NC"), ("This work is licensed under the GNU General Public License, version 3.", "GPL-3.0"), ("All rights reserved.", "Proprietary")):
         assert model.scan(f"Some text.\n{line}\nMore text.")[1][0][0] == family
     assert model.scan("The driver renewed a licence at the office.\nThe end.")[1] == []
-    assert [r["n_paragraphs"] for r in licences.scan_licences(edges, model, ["doc_id"]).collect()][1:3] == [0, 0]
+    assert [r["n_paragraphs"] for r in licences.scan_licences(edges, model, edges.columns).collect()][1:3] == [0, 0]
     assert licences.scan_licences(nothing, licences.fit_licences(nothing), ["doc_id"]).count() == 0
 
 
+def test_licences_against_plain_arithmetic(spark, sf, docs):
+    """Every line of the whole table, scored by dictionary sums without the scan's shortcuts."""
+    model = licences.fit_licences(docs)
+    names = [*licences.FAMILIES, "unknown", None]
+
+    def judged(line):
+        words = licences.tokens(line)
+        grams = {" ".join(words[i : i + n]) for n in (1, 2, 3) for i in range(len(words) - n + 1)}
+        z = sum((model.weights[model.index[g]] for g in grams if g in model.index), model.weights[-1]) / model.temperature
+        p = np.exp(z - z.max()) / np.exp(z - z.max()).sum()
+        if p[-1] >= 0.5:
+            return None
+        k = int(np.argmax(p[: licences.UNKNOWN]))
+        own = {tuple(words[i : i + 3]) for i in range(len(words) - 2)}
+        for t in licences.TEMPLATES[names[k]]:
+            w = licences.tokens(t)
+            three = {tuple(w[i : i + 3]) for i in range(len(w) - 2)}
+            if own & three and p[k] >= licences.CONFIDENCE and max(len(own & three) / len(own), len(own & three) / len(three)) >= licences.CONFIRMATION:
+                return names[k]
+        return "unknown"
+
+    want = {}
+    for r in docs.collect():
+        lines = [x for x in r["text"].split("\n") if x.strip()]
+        found = [j for x in lines if (j := judged(x))]
+        want[r["doc_id"]] = (len(lines), ",".join(sorted(set(found))), len(found))
+    got = {r["doc_id"]: (r["n_paragraphs"], r["licences"], r["n_matches"]) for r in QUERIES["op2_licence_scan"](spark, sf).collect()}
+    assert got == want and sum(n for _, _, n in want.values()) > 0
+
+
+def test_unseen_licences_are_unknown(docs):
+    model = licences.fit_licences(docs)
+    for line in ("Boost Software License - Version 1.0", "Copyright 2011, licensed under the Sleepycat license", "Terms of the Open Font License, version 1.1 apply"):
+        assert model.judge(line)[0] == "unknown", line
+    for line in ("He works for the public library of Boston", "the general public reserved seats", *licences.DECOYS):
+        assert model.judge(line) is None, line
+    assert model.judge("SPDX-License-Identifier: MIT")[0] == "MIT"
+    tail = "plain words " * 3000 + "\nReleased under the MIT License."
+    assert [f for f, _, _ in model.scan(tail)[1]] == ["MIT"]
+
+
 # Chat
 
 
@@ -94,24 +161,46 @@ def test_events_fold_to_final_messages(spark):
     assert chat.read_back(chat.format_log(df.filter("conv_id = 3"))).count() == 0
 
 
+def turns_by_hand(rows):
+    """conv_id -> the seven columns of the contract, from the turns alone."""
+    out = {}
+    for conv in {r[0] for r in rows}:
+        own = sorted(((turn is not None, turn or 0, role or "", text or "") for c, turn, role, text, *_ in rows if c == conv))
+        loss = "".join(t for _, _, role, t in own if role == "assistant")
+        whole = "".join(chat.rendered(role, t)[0] for _, _, role, t in own)
+        out[conv] = (len(own), hashlib.sha256("".join(f"{role}\n{t}\n" for _, _, role, t in own).encode()).hexdigest(), len(loss), hashlib.sha256(loss.encode()).hexdigest(), len(whole))
+    return out
+
+
+def test_turns_become_deltas_edits_and_regenerations(spark):
+    rows = [(1, 0, "user", "a\\b", 5, "x"), (1, 1, "assistant", "é日本" * 30_000, 5, "x"), (1, 1, "assistant", "twice", 5, "x"), (1, 1, "assistant", "twice", 5, "x"), (1, None, None, None, 5, "x"), (2, 0, "assistant", "", 5, "x"), (2, 1, "assistant", None, 5, "x"), (3, 0, "user", "<s>[INST]<|end|>", 5, "x"), (None, 0, "assistant", "no id", 5, "x")]
+    turns = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string, seq int, kind string")
+    log = chat.events_of_turns(turns)
+    assert {r["kind"] for r in log.select("kind").distinct().collect()} == {"open", "delta", "regenerate", "edit"}
+    got = {r["conv_id"]: (r["n_turns"], r["turns_sha256"], r["loss_chars"], r["loss_sha256"], r["formatted_chars"]) for r in chat.read_back(chat.format_log(log)).collect()}
+    assert got == turns_by_hand(rows)
+
+
 # Top-k
 
 
 def test_top_k_is_exact(spark):
     random = np.random.default_rng(0)
     vectors = [(i, (random.standard_normal(6) + 4 * (i % 3)).tolist()) for i in range(300)]
-    vectors += [(300 + i, vectors[0][1]) for i in range(60)] + [(400, None), (401, [float("nan")] * 6), (None, [1.0] * 6), (7, vectors[7][1])]
-    df = spark.createDataFrame(vectors, "vec_id long, embedding array<double>")
+    vectors += [(300 + i, vectors[0][1]) for i in range(60)] + [(400, None), (401, [float("nan")] * 6), (402, [1.0, None]), (403, [float("inf")]), (None, [1.0] * 6), (7, vectors[7][1]), (7, vectors[8][1])] + [(50, vectors[50][1])] * 9
+    df = spark.createDataFrame([(i, v, 1, 1) for i, v in vectors], "vec_id long, embedding array<double>, vec int, cell int")
     got = defaultdict(list)
     from pyspark.sql import functions as F
 
     for r in topk.voronoi_top_k(topk.quantised(df), F.col("vec_id") % 50 == 0, 5, pivots=8, query_rows=3, data_rows=64).orderBy("query_id", "rank").collect():
         got[r["query_id"]].append((r["vec_id"], r["score"]))
-    x = {i: np.floor(np.array(v) * 256).astype(int) for i, v in vectors if v is not None and i is not None and np.isfinite(v).all()}
-    for q in (i for i in x if i % 50 == 0):
-        assert got[q] == sorted(((i, int(v @ x[q])) for i, v in x.items() if i != q), key=lambda t: (-t[1], t[0]))[:5]
+    x = [(i, np.floor(np.array(v, float) * 256).astype(int)) for i, v in vectors if v is not None and i is not None and None not in v and np.isfinite(v).all()]
+    for q in {i for i, _ in x if i % 50 == 0}:
+        pairs = [(i, int(v @ w)) for j, w in x if j == q for i, v in x if i != q]
+        assert got[q] == sorted(pairs, key=lambda t: (-t[1], t[0]))[:5]
     assert topk.voronoi_top_k(topk.quantised(df.filter("vec_id < 0")), F.lit(True)).count() == 0
     assert topk.voronoi_top_k(topk.quantised(df.filter("vec_id < 3")), F.lit(True)).count() == 6
+    assert topk.voronoi_top_k(topk.quantised(df.filter("vec_id = 50")), F.lit(True)).count() == 0
     big = topk.products(np.array([[2**40, 1]]), np.array([[2**20, 3]]))
     assert big[0, 0] == 2**60 + 3
 
@@ -132,6 +221,34 @@ def test_held_out_accuracy(spark, edges, nothing, fit, score, label, least):
     assert score(nothing, fit(nothing, labels), ["doc_id"]).count() == 0
 
 
+@pytest.mark.parametrize("text", ["a b a b a b", "One two  one, TWO!! 77%%\n|x| é", "x", " ", "the cat the cat sat on the mat on the mat"])
+def test_quality_ngrams_by_hand(text):
+    from multiway.llm.common import WordHashes
+
+    raw, want, base = text.encode(), set(), int(quality.STARTS[-1])
+    kinds = [int(quality.KINDS[b]) for b in raw]
+    kinds = [k for i, k in enumerate(kinds) if i < 2 or not (k == kinds[i - 1] == kinds[i - 2])]
+    words = raw.lower().split()
+    repeat = [2 if i and words[i - 1] == w else 1 if w in words[max(0, i - quality.REPEATS) : i] else 0 for i, w in enumerate(words)]
+    for seq, size, first in ((kinds, quality.ALPHABET, 0), (repeat, 3, quality.ORDER)):
+        for n in range(1, quality.ORDER + 1):
+            for i in range(len(seq) - n + 1):
+                code = 0
+                for c in seq[i : i + n]:
+                    code = code * size + c
+                want.add(int(quality.STARTS[first + n - 1]) + code)
+    got = set(quality.active(text, WordHashes()).tolist())
+    assert {c for c in got if c < base} == want
+    assert len({c for c in got if c >= base}) == len(set(words)) + len(set(zip(words, words[1:], strict=False)))
+
+
+def test_the_fit_does_not_depend_on_the_order_of_rows(spark):
+    d = "/root/testdata/sf0.001"
+    docs, labels = spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet")
+    one, two = (quality.fit_quality(x, y) for x, y in ((docs, labels), (docs.repartition(7), labels.repartition(3))))
+    assert (one.weights == two.weights).all() and one.offset == two.offset
+
+
 def test_grammar_weighs_clauses():
     grammar = toxicity.Grammar()
     trie = grammar.automaton()
@@ -244,6 +361,19 @@ def test_tokens_match_the_library(spark, edges, nothing):
     assert bpe.encoded(nothing, ["doc_id"]).count() == 0
 
 
+def test_token_digests_of_the_whole_table(spark, sf, docs):
+    tiktoken = pytest.importorskip("tiktoken")
+    import public_tokenizers as P
+
+    want = tiktoken.Encoding("own", pat_str=P.PATTERN, mergeable_ranks=bpe.read_ranks(bpe.default_ranks_path()), special_tokens={})
+    texts = {r["doc_id"]: r["text"] or "" for r in docs.collect()}
+    rows = QUERIES["op8_byte_bpe"](spark, sf).collect()
+    assert len(rows) == len(texts)
+    for r in rows:
+        ids = want.encode_ordinary(texts[r["doc_id"]])
+        assert (r["n_tokens"], r["ids_sha256"], r["decoded_sha256"]) == (len(ids), hashlib.sha256(",".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256(texts[r["doc_id"]].encode()).hexdigest())
+
+
 # Decontamination
 
 
@@ -268,7 +398,7 @@ def test_decontamination(spark, docs, sf, limit):
     extra = spark.createDataFrame([(-1, "A short, item here"), (-2, None), (-3, " ".join(items[0][1].split()[1:14]))], "doc_id long, text string")
     all_docs = docs.select("doc_id", "text").unionByName(extra)
     texts = {r["doc_id"]: r["text"] for r in all_docs.collect()}
-    got = {r["doc_id"]: (r["n_words"], r["n_hit"], sorted(r["items"])) for r in decontaminate.decontaminate(all_docs, bench, ["doc_id"], broadcast_bytes=limit).collect()}
+    got = {r["row"]["doc_id"]: (r["n_words"], r["n_hit"], sorted(r["hit_items"])) for r in decontaminate.decontaminate(all_docs, bench, ["doc_id"], broadcast_bytes=limit).collect()}
     assert got == {i: brute_hits(t, items) for i, t in texts.items()}
     if limit > 1000:
         clean = decontaminate.without_spans(all_docs, bench)
@@ -277,6 +407,26 @@ def test_decontamination(spark, docs, sf, limit):
         assert decontaminate.decontaminate(all_docs, bench.limit(0), ["doc_id"]).filter("n_hit > 0").count() == 0
 
 
+def test_windows_are_small_at_ten_times_a_slice(spark):
+    random = np.random.default_rng(2)
+    vocabulary = [f"w{i}" for i in range(3000)]
+    texts = [" ".join(random.choice(vocabulary, 200)) for _ in range(400)]
+    size = sum(map(len, texts))
+    whole = decontaminate.Windows(list(enumerate(texts)))
+    assert whole.nbytes < 6 * size
+    bench = spark.createDataFrame(list(enumerate(texts)) + [(None, texts[0]), (None, "a short one")], "item_id long, text string")
+    docs = spark.createDataFrame([(i, "x " + " ".join(t.split()[20:40]) + " y", 1, 2, 3) for i, t in enumerate(texts)] + [(900, None, 1, 2, 3), (901, "a short one", 1, 2, 3), (902, "", 1, 2, 3)], "doc_id long, text string, n_words int, key int, row int")
+    slices = decontaminate._item_slices(bench, size // 10)
+    assert len(slices) >= 10 and max(sum(len(r["text"]) for r in s.collect()) for s in slices) < size // 4
+    rows = {r["row"]["doc_id"]: r for r in decontaminate.decontaminate(docs, bench, docs.columns, broadcast_bytes=size // 10).collect()}
+    for i in range(400):
+        assert rows[i]["n_hit"] == 20 and str(i) in rows[i]["hit_items"] and rows[i]["hit_ranges"] == [1, 21]
+    assert (rows[901]["n_hit"], rows[901]["hit_items"]) == (3, []) and rows[900]["n_words"] == 0 and rows[902]["n_hit"] == 0
+    assert decontaminate.without_contaminated(docs, bench).columns == docs.columns
+    cut = {r["doc_id"]: r["text"] for r in decontaminate.without_spans(docs, bench).collect()}
+    assert cut[5].split() == ["x", "y"] and cut[900] is None
+
+
 # Substrings
 
 
@@ -299,7 +449,7 @@ def brute_kept(rows, width=13):
 
 
 def substring_rows(df):
-    return sorted((r["doc_id"] if r["doc_id"] is not None else -9, r["_n_words"], r["_n_removed"], r["_kept"] or "") for r in df.collect())
+    return sorted((r["row"]["doc_id"] if r["row"]["doc_id"] is not None else -9, r["n_words"], r["n_removed"], r["kept"] or "") for r in df.collect())
 
 
 def test_substrings_in_one_batch_and_in_many(spark, docs, nothing):
@@ -315,10 +465,26 @@ def test_substrings_in_one_batch_and_in_many(spark, docs, nothing):
     for part in (df.filter("doc_id < 60"), df.filter("doc_id >= 60 AND doc_id < 150"), df.filter("doc_id >= 150 OR doc_id IS NULL")):
         got += substring_rows(index.dedup(part, ["doc_id"]))
         index = substring.SubstringIndex.open(spark, index.path)
-    assert sorted(got) == brute_kept(rows) and len(index.runs) <= 2
+    assert sorted(got) == brute_kept(rows) and len(index.runs) <= 2 and max(t for t, _ in index.runs) == 1
+    # A batch that was lost before its manifest leaves the index as it was, and can be fed again.
+    before = list(index.runs)
+    lost = substring.SubstringIndex.open(spark, index.path)
+    lost._write(substring.runs_of(df.filter("doc_id < 9"), 4).filter("bucket >= 0"))
+    lost.spark.createDataFrame([(0, "half", 4, 13, 1)], "tier int, run string, n_buckets int, width int, fanout int").write.option("mapreduce.fileoutputcommitter.marksuccessfuljobs", "false").parquet(f"{index.path}/manifest-99")
+    assert substring.SubstringIndex.open(spark, index.path).runs == before
     assert substring.dedup_batch(nothing, ["doc_id"]).count() == 0
 
 
+def test_buckets_follow_the_text(spark):
+    df = spark.createDataFrame([(1, "x" * 1000)], "doc_id long, text string")
+    assert substring.buckets_for(df) == 8
+    old, substring.BUCKET_BYTES = substring.BUCKET_BYTES, 20
+    try:
+        assert substring.buckets_for(df) == 50
+    finally:
+        substring.BUCKET_BYTES = old
+
+
 def test_packing_keeps_values():
     random = np.random.default_rng(0)
     for values in (np.empty(0, np.uint64), np.array([0], np.uint64), np.sort(random.integers(0, 1 << 63, 5000).astype(np.uint64)), np.array([0, 1, 2**64 - 1], np.uint64)):
