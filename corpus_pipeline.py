@@ -3,26 +3,24 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from multiway.llm.bpe import encoded
 from multiway.llm.common import stored, table
 from multiway.llm.decontaminate import without_contaminated
 from multiway.llm.neardup import keep_one
-from multiway.llm.quality import fit_quality, score_quality
-from multiway.llm.substring import dedup_batch
+from multiway.llm.quality import fit_quality, of_quality
+from multiway.llm.substring import without_repeats
 from multiway.session import ship
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the classifier holds for good (score of 0.5 or more)."""
     ship(spark)
-    model = fit_quality(docs, table(spark, sf_dir, "labels"))
-    return score_quality(docs, model, docs.columns, out="_mw_score").filter(F.col("_mw_score") >= 0.5).drop("_mw_score")
+    return of_quality(docs, fit_quality(docs, table(spark, sf_dir, "labels")))
 
 
 def near_duplicate_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies, the one with the smallest id."""
+    """One row of each group of near copies, one with the smallest id."""
     ship(spark)
     return keep_one(docs)
 
@@ -33,13 +31,7 @@ def substring_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
     A text that loses nothing stays as it is; one that does has its words joined by blanks.
     """
     ship(spark)
-    others = [c for c in docs.columns if c != "text"]
-    out = dedup_batch(docs, others, original=True)
-    text = F.when(F.col("_n_removed") > 0, F.col("_kept")).otherwise(F.col("_original"))
-    kept = out.filter((F.col("_n_removed") == 0) | (F.col("_n_removed") < F.col("_n_words"))).withColumn("text", text)
-    if "n_chars" in docs.columns:
-        kept = kept.withColumn("n_chars", F.when(F.col("_n_removed") > 0, F.length("text")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType))
-    return kept.select(*docs.columns)
+    return without_repeats(docs)
 
 
 def decontamination_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
