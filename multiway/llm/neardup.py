@@ -17,7 +17,7 @@ all trees alike would just reach the target.
 Within a node all pairs are verified on their shingle sets, and a pair counts only in the first tree in which it meets, so
 links are counted once although no pair is ever written: a node yields for each text its number of links and one text of its
 linked component. A node beyond a block's rows or shingles is cut into blocks, and two blocks meet in a task; a text then
-travels once for each block of its node, which for n linked texts is n / 4096 times. Components over nodes come from
+travels once for each block of its node: up to 8 times, and n / 4096 times in a node of n > 32,768 texts. Components over nodes come from
 hooking every text to its least neighbour, jumping to the roots and contracting, until no edge is left.
 
 Defined results: texts without words are only similar to equal texts; a null text is alone; texts of one to four words are one
@@ -43,8 +43,9 @@ SHINGLE, THRESHOLD = 5, 0.8
 TREES, LEVELS, TARGET_RECALL = 20, 8, 0.9995
 #: Texts that a node may hold while its prefix is shortened without need.
 CROWD = 64
-#: Texts and shingles of a block; two blocks meet in one task.
-BLOCK, BLOCK_SHINGLES = 4096, 2_000_000
+#: Texts of a block, two of which meet in one task; a node is first cut into up to so many small blocks, for tasks of its own,
+#: and beyond that into large ones, for few copies of a text. Shingles that a block may hold.
+SMALL_BLOCK, SMALL_BLOCKS, BLOCK, BLOCK_SHINGLES = 512, 8, 4096, 2_000_000
 #: Pairs are compared in squares of so many texts.
 SQUARE = 512
 
@@ -161,7 +162,8 @@ def candidate_members(classes: DataFrame, forest: Forest, crowd: int = CROWD, bl
     """node, blocks, key, met (for each tree the node a text is in): texts of nodes of two or more; nodes with the same texts are one."""
     cut = stored(cut_nodes(classes, forest, crowd))
     nodes = cut.groupBy("node").agg(F.count("*").alias("n"), F.sum("size").alias("weight"), F.min("tree").alias("tree"), F.bit_xor(F.xxhash64("key")).alias("x"), F.bit_xor(F.xxhash64("key", F.lit(1))).alias("y")).filter("n > 1")
-    blocks = F.greatest(F.ceil(F.col("n") / block), F.ceil(F.col("weight") / BLOCK_SHINGLES)).cast("int")
+    small = F.least(F.ceil(F.col("n") / min(SMALL_BLOCK, block)), F.lit(SMALL_BLOCKS))
+    blocks = F.greatest(small, F.ceil(F.col("n") / block), F.ceil(F.col("weight") / BLOCK_SHINGLES)).cast("int")
     kept = stored(nodes.groupBy("n", "weight", "x", "y").agg(F.min(F.struct("tree", "node")).alias("first")).select(F.col("first.node").alias("node"), blocks.alias("blocks")))
     places = F.map_from_entries(F.collect_list(F.struct("tree", F.xxhash64("node"))))
     met = cut.groupBy("key").agg(places.alias("_at")).select("key", F.transform(F.sequence(F.lit(0), F.lit(forest.trees - 1)), lambda t: F.coalesce(F.try_element_at("_at", t), F.xxhash64("key", t, F.lit("alone")))).alias("met"))
