@@ -315,11 +315,11 @@ def snr_db(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame([(round(metrics.snr_db(e["a"], e["b"]), 4),)], "snr double")
 
 
-@query("sir_fixed", "WITH e AS (SELECT vec_id AS i, list_transform(embedding[1:2], lambda x: CAST(x AS DOUBLE)) AS a FROM embeddings WHERE vec_id < 100), x AS (SELECT i, k, a[k] AS t, a[k] + 0.01 * (i % 7) AS f FROM e, range(1, 3) r(k)), m AS (SELECT k, avg(t) AS mt, stddev_pop(t) AS st, avg(f) AS mf, stddev_pop(f) AS sf FROM x GROUP BY k) SELECT CAST(k - 1 AS INTEGER) AS r, round(10 * log10(sum(pow((t - mt) / st, 2)) / sum(pow((t - mt) / st - (f - mf) / sf, 2))), 4) AS sir_db FROM x JOIN m USING (k) GROUP BY k")
+@query("sir_fixed", "WITH e AS (SELECT vec_id AS i, list_transform(embedding, lambda x: CAST(x AS DOUBLE)) AS a FROM embeddings), x AS (SELECT i, k, a[k] AS t, a[k] + 0.01 * (i % 7) AS f FROM e, range(1, 65) r(k)), m AS (SELECT k, avg(t) AS mt, stddev_pop(t) AS st, avg(f) AS mf, stddev_pop(f) AS sf FROM x GROUP BY k) SELECT CAST(k - 1 AS INTEGER) AS r, round(10 * log10(sum(pow((t - mt) / st, 2)) / sum(pow((t - mt) / st - (f - mf) / sf, 2))), 4) AS sir_db FROM x JOIN m USING (k) GROUP BY k")
 def sir_fixed(spark: SparkSession, d: str) -> DataFrame:
-    rows = tables.table(spark, d, "embeddings").filter("vec_id < 100").orderBy("vec_id").select("embedding").collect()
-    a = np.array([r["embedding"][:2] for r in rows], float)
-    s = metrics.sir(a, -2 * (a + 0.01 * (np.arange(100) % 7)[:, None])[:, ::-1])
+    rows = tables.table(spark, d, "embeddings").orderBy("vec_id").select("vec_id", "embedding").collect()
+    a, i = np.array([r["embedding"] for r in rows], float), np.array([r["vec_id"] for r in rows])
+    s = metrics.sir(a, -2 * (a + 0.01 * (i % 7)[:, None])[:, ::-1])
     return spark.createDataFrame([(r, round(float(x), 4)) for r, x in enumerate(s)], "r int, sir_db double")
 
 

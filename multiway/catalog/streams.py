@@ -29,7 +29,26 @@ def stream_session(spark: SparkSession, d: str) -> DataFrame:
 
 @query("op_stream_dedup", "SELECT DISTINCT user_id, event_type FROM events")
 def stream_dedup(spark: SparkSession, d: str) -> DataFrame:
-    return E.drained(E.first_of_each(E.source(spark, d), ["user_id", "event_type"]).select("user_id", "event_type")).distinct()
+    """One row a key over several micro-batches, by state alone."""
+    parts = E.by_day(tables.table(spark, d, "events"))
+    return E.drained(E.in_files(spark, parts).dropDuplicates(["user_id", "event_type"]).select("user_id", "event_type"))
+
+
+@query("op_stream_watermark_late", "SELECT start, event_type, count(*) AS n FROM (SELECT date_trunc('hour', ts) AS start, event_type FROM events) WHERE start + INTERVAL 1 HOUR <= (SELECT max(ts) FROM events) - INTERVAL 1 HOUR GROUP BY start, event_type")
+def stream_watermark_late(spark: SparkSession, d: str) -> DataFrame:
+    """All events arrive in order, then the first part once more: too late, so no window counts it twice."""
+    parts = E.by_day(tables.table(spark, d, "events"))
+    return E.drained(E.tumbling(E.in_files(spark, [*parts, parts[0]])), "append")
+
+
+@query("op_sink_foreachbatch", "SELECT event_type, count(*) AS n, sum(CAST(floor(value) AS BIGINT)) AS total FROM events GROUP BY 1")
+def sink_foreachbatch(spark: SparkSession, d: str) -> DataFrame:
+    """Batches go to a sink by number, so one that runs again replaces itself."""
+    from ..sources.storage import new_path
+
+    path = new_path(spark, "sink")
+    E.run_batches(E.in_files(spark, E.by_day(tables.table(spark, d, "events"))), lambda batch, number: batch.write.mode("overwrite").parquet(f"{path}/{number}"))
+    return spark.read.parquet(f"{path}/*").groupBy("event_type").agg(F.count("*").alias("n"), F.sum(F.floor("value")).alias("total"))
 
 
 @query("op_stream_static_join", "SELECT c_mktsegment AS segment, count(*) AS n FROM events JOIN customer ON user_id = c_custkey GROUP BY 1")

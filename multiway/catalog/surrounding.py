@@ -101,7 +101,7 @@ _add("math", "SELECT event_id, round(sqrt(value), 6) AS a, round(ln(value + 1),
 _add("string", "SELECT p_partkey, lower(p_name) AS a, length(p_name) AS n, substr(p_brand, 1, 5) AS b, md5(p_type) AS h FROM part", lambda s, d: T(s, d, "part").select("p_partkey", F.lower("p_name").alias("a"), F.length("p_name").alias("n"), F.substring("p_brand", 1, 5).alias("b"), F.md5(c("p_type").cast("binary")).alias("h")))
 _add("date_modes", "SELECT event_id, hour(ts) AS h, dayofmonth(ts) AS d, month(ts) AS m FROM events", lambda s, d: T(s, d, "events").select("event_id", F.hour("ts").alias("h"), F.dayofmonth("ts").alias("d"), F.month("ts").alias("m")))
 _add("json_props", "SELECT event_id, CAST(json_extract(props, '$.k') AS BIGINT) AS k FROM events", lambda s, d: T(s, d, "events").select("event_id", F.from_json("props", "k long")["k"].alias("k")))
-_add("array_posexplode", "SELECT vec_id, CAST(p - 1 AS INTEGER) AS p, CAST(embedding[p] AS DOUBLE) AS x FROM embeddings, range(1, 5) r(p)", lambda s, d: T(s, d, "embeddings").select("vec_id", F.posexplode(F.slice("embedding", 1, 4)).alias("p", "y")).select("vec_id", "p", c("y").cast("double").alias("x")))
+_add("array_posexplode", "SELECT vec_id, CAST(p - 1 AS INTEGER) AS p, CAST(embedding[p] AS DOUBLE) AS x FROM embeddings, range(1, 65) r(p)", lambda s, d: T(s, d, "embeddings").select("vec_id", F.posexplode("embedding").alias("p", "y")).select("vec_id", "p", c("y").cast("double").alias("x")))
 _add("array_hof", "SELECT vec_id, len(list_filter(embedding, lambda x: x > 0)) AS n FROM embeddings", lambda s, d: T(s, d, "embeddings").select("vec_id", F.size(F.filter("embedding", lambda x: x > 0)).cast("long").alias("n")))
 _add("map", "SELECT event_type, count(*) AS n FROM events GROUP BY 1", lambda s, d: T(s, d, "events").groupBy("event_type").agg(F.count("*").alias("n")).agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m")).select(F.explode("m").alias("event_type", "n")))
 _add("struct", "SELECT n_nationkey, n_name, n_regionkey FROM nation", lambda s, d: T(s, d, "nation").select(F.struct("n_nationkey", F.struct("n_name", "n_regionkey").alias("o")).alias("x")).select("x.n_nationkey", "x.o.n_name", "x.o.n_regionkey"))
@@ -135,3 +135,4 @@ _add("udf_dot", "SELECT a.vec_id, round(list_sum(list_transform(a.embedding, lam
 _add("udaf_gram", "SELECT CAST(0 AS INTEGER) AS i, round(sum(CAST(embedding[1] AS DOUBLE) * embedding[2]), 5) AS v FROM embeddings", lambda s, d: T(s, d, "embeddings").agg(surface.gram_entry(c("embedding")[0].cast("double"), c("embedding")[1].cast("double")).alias("g")).select(F.lit(0).alias("i"), F.round("g", 5).alias("v")))
 _add("udtf_unfold", "SELECT vec_id, CAST((p - 1) // 8 AS BIGINT) AS i, CAST((p - 1) % 8 AS BIGINT) AS j, CAST(embedding[p] AS DOUBLE) AS v FROM embeddings, range(1, 65) r(p)", lambda s, d: surface.register(s).sql(f"SELECT vec_id, i, j, v FROM parquet.`{d}/embeddings.parquet`, LATERAL mw_cells(CAST(embedding AS array<double>), 8)"))
 _add("sql_ind2sub", "SELECT id, id % 3 AS a, (id // 3) % 4 AS b FROM range(24) x(id)", lambda s, d: surface.register(s).sql("SELECT id, mw_ind2sub(id, 1, 3) AS a, mw_ind2sub(id, 3, 4) AS b FROM range(24)"))
+_add("sql_fit", "SELECT event_type, round(1 - sqrt((sum(value * value) - sum(value) * sum(value) / count(*)) / sum(value * value)), 6) AS fit FROM events GROUP BY 1", lambda s, d: (tables.table(surface.register(s), d, "events").createOrReplaceTempView("mw_events"), s.sql("SELECT event_type, round(mw_fit(n2, c2), 6) AS fit FROM (SELECT event_type, sum(value * value) AS n2, sum(value) * sum(value) / count(*) AS c2 FROM mw_events GROUP BY 1)"))[1])

@@ -29,10 +29,11 @@ class Cells:
 
 
 def register(spark: SparkSession) -> SparkSession:
-    """mw_dot, mw_cells and mw_ind2sub for SQL in this session."""
+    """mw_dot, mw_cells, mw_ind2sub and mw_fit for SQL in this session."""
     spark.udf.register("mw_dot", F.pandas_udf(dot, "double"))
     spark.udtf.register("mw_cells", F.udtf(Cells, returnType="i bigint, j bigint, v double"))
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION mw_ind2sub(id BIGINT, step BIGINT, size BIGINT) RETURNS BIGINT RETURN (id DIV step) % size")
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION mw_fit(norm2 DOUBLE, core2 DOUBLE) RETURNS DOUBLE RETURN 1 - sqrt(greatest(0D, norm2 - core2) / norm2)")
     return spark
 
 

@@ -209,13 +209,18 @@ def gram(rows: DataFrame, rank: int, other: DataFrame | None = None, other_rank:
     return np.array([float(x or 0) for x in sums]).reshape(rank, m)
 
 
-def sketch(cells: DataFrame, n: int, rank: int, seed: int, dist: str = "gaussian") -> DataFrame:
-    """(i, r, v) of the unfolding times a random matrix that exists only as an expression of its coordinates."""
+def sketch_rows(cells: DataFrame, n: int, rank: int, seed: int, dist: str = "gaussian") -> DataFrame:
+    """Rows (i, f) of the unfolding times a random matrix that exists only as an expression of its coordinates."""
     own, others = f"i{n + 1}", [F.col(c) for c in modes_of(cells) if c != f"i{n + 1}"]
     number = gauss_col if dist == "gaussian" else sign_col
     names = [f"_{r}" for r in range(rank)]
     wide = cells.groupBy(F.col(own).alias("i")).agg(*_sums([F.col("v") * number(seed, [*others, F.lit(r)]) for r in range(rank)], names))
-    return wide.select("i", F.posexplode(F.array(*names)).alias("r", "v"))
+    return wide.select("i", F.array(*names).alias("f"))
+
+
+def sketch(cells: DataFrame, n: int, rank: int, seed: int, dist: str = "gaussian") -> DataFrame:
+    """sketch_rows() as (i, r, v)."""
+    return sketch_rows(cells, n, rank, seed, dist).select("i", F.posexplode("f").alias("r", "v"))
 
 
 def norm2(cells: DataFrame) -> float:

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from ..functions.counter import gauss, uniform
-from .algebra import core_mttkrp, cp_dense, gram_hadamard, shared_mttkrp
+from .algebra import core_mttkrp, cp_dense, gram_hadamard, shared_mttkrp, unfold_dense
 from .constraints import FREE, Constraint, nonneg, per_mode
 from .tensors import Tensor
 from .tucker import TuckerModel
@@ -184,6 +184,10 @@ class DenseSource:
     def mttkrp(self, factors: Sequence[np.ndarray], n: int) -> np.ndarray:
         return core_mttkrp(self.x, list(factors), n)
 
+    def gram(self, n: int) -> np.ndarray:
+        m = unfold_dense(self.x, n)
+        return m @ m.T
+
     def norm2(self) -> float:
         return float((self.x**2).sum())
 

@@ -35,6 +35,16 @@ class _Direct:
         return self.t.project(n, fs)
 
 
+class _Dense:
+    """A small tensor on the driver."""
+
+    def __init__(self, x: np.ndarray):
+        self.x, self.shape, self.norm2 = x, x.shape, float((x**2).sum())
+
+    def projected(self, fs: Sequence[np.ndarray], n: int) -> np.ndarray:
+        return unfold_dense(multiply_all(self.x, fs, skip=n, transpose=True), n)
+
+
 def _fit(source, ranks: Sequence[int], update: str, max_iter: int, tol: float, seed: int, core_steps: int = 5) -> TuckerModel:
     order = len(ranks)
     fs = [uniform(seed + 17 * n, np.ix_(np.arange(s), np.arange(r))) for n, (s, r) in enumerate(zip(source.shape, ranks, strict=True))]
@@ -72,6 +82,6 @@ def compressed_ntd(form: TuckerModel, ranks: Sequence[int], update: str = "hals"
     return _fit(_Compact(form), ranks, update, max_iter, tol, seed)
 
 
-def ntd(t: Tensor, ranks: Sequence[int], update: str = "hals", max_iter: int = 50, tol: float = 1e-5, seed: int = 1) -> TuckerModel:
-    """The direct twin: a pass over the data for every mode of every sweep."""
-    return _fit(_Direct(t), ranks, update, max_iter, tol, seed)
+def ntd(t: Tensor | np.ndarray, ranks: Sequence[int], update: str = "hals", max_iter: int = 50, tol: float = 1e-5, seed: int = 1) -> TuckerModel:
+    """The direct twin: a pass over the data (or over an array on the driver) for every mode of every sweep."""
+    return _fit(_Dense(t) if isinstance(t, np.ndarray) else _Direct(t), ranks, update, max_iter, tol, seed)

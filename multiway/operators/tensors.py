@@ -23,6 +23,8 @@ from .algebra import multiply, multiply_all, unfold_dense
 
 #: Rows of a mode that travel as one piece, and numbers that a result on the driver may have.
 CHUNK, DRIVER_NUMBERS = 4096, 20_000_000
+#: Partitions whose pieces of a chunk are added in one task.
+FAN_IN = 64
 PIECE = "lo long, data binary"
 
 
@@ -47,8 +49,10 @@ def _sum_pieces(pieces: DataFrame, rows: int, width: int) -> np.ndarray:
             total += np.frombuffer(data)
         return pd.DataFrame({"lo": group["lo"].iloc[:1], "data": [total.tobytes()]})
 
+    # Pieces of one chunk are first added in groups of FAN_IN partitions, so no task holds the pieces of all partitions.
     out = np.zeros((rows, width))
-    for r in pieces.groupBy("lo").applyInPandas(add, PIECE).collect():
+    parts = pieces.withColumn("_part", F.floor(F.spark_partition_id() / FAN_IN))
+    for r in parts.groupBy("lo", "_part").applyInPandas(add, PIECE).groupBy("lo").applyInPandas(add, PIECE).collect():
         part = np.frombuffer(r["data"]).reshape(-1, width)
         out[r["lo"] : r["lo"] + len(part)] += part
     return out
@@ -158,8 +162,8 @@ class CooTensor(Tensor):
     def gram(self, n: int) -> np.ndarray:
         """Unfolding n times its transpose: cells that share the other coordinates meet in a join."""
         rows = self.shape[n]
-        if rows > 20_000:
-            raise ValueError("a Gram of more than 20,000 rows belongs to the sketched methods")
+        if rows * rows > DRIVER_NUMBERS:
+            raise ValueError(f"a Gram of {rows} rows belongs to the sketched methods")
         self.passes.reads += 1
         others = [f"i{k + 1}" for k in range(self.order) if k != n]
         other = self.df.select(*others, F.col(f"i{n + 1}").alias("j"), F.col("v").alias("w"))
@@ -401,5 +405,5 @@ def generated(spark: SparkSession, shape: Sequence[int], grid: Sequence[int], ma
                     x = x + sigma * gauss(seed, axes)
                 yield pa.RecordBatch.from_arrays([pa.array([lo], pa.list_(pa.int64())), pa.array([dims], pa.list_(pa.int64())), pa.array([np.ascontiguousarray(x).tobytes()], pa.binary())], ["lo", "dims", "data"])
 
-    ids = spark.range(n_blocks, numPartitions=min(n_blocks, 64))
+    ids = spark.range(n_blocks, numPartitions=n_blocks)
     return BlockTensor(ids.mapInArrow(run, BLOCK), tuple(shape))

@@ -107,6 +107,8 @@ def sketch_tucker(t: Tensor, ranks: Sequence[int], oversample: int = 10, method:
     sequential: for each mode sketch the unfolding, take a basis of the sketch, shrink the tensor by it and go on.
     two_sweep: from Gaussian starting matrices, `sweeps` rounds of projecting on all other modes and sketching what is
     left; the last projection also gives the core. Modes whose sketch would be as wide as the mode keep the identity.
+    power: times that a sketch is multiplied by what it was taken from and its transpose, which turns the basis to the leading
+    directions under noise. With two_sweep that is the small projection, so no pass is added; with sequential each costs a Gram.
     """
     reads, norm2, sizes = t.passes.reads, None, sketch_sizes(t.shape, ranks, oversample)
     if method == "sequential":
@@ -139,8 +141,14 @@ def sketch_tucker(t: Tensor, ranks: Sequence[int], oversample: int = 10, method:
                 inner = [f.shape[1] for k, f in enumerate(factors) if k != n]
                 small = draw(dist, seed + 1000 * (sweep + 1) + n, np.ix_(np.arange(prod(inner)), np.arange(sizes[n])))
                 if not last:
-                    if sizes[n] < t.shape[n]:
+                    if sizes[n] < t.shape[n] and not power:
                         factors[n] = orth(t.project(n, factors, small), how)
+                    elif sizes[n] < t.shape[n]:  # the projection is small enough to be multiplied by again, no pass is added
+                        x = t.project(n, factors)
+                        z = x @ small
+                        for _ in range(power):
+                            z = x @ (x.T @ z)
+                        factors[n] = orth(z, how)
                     continue
                 x = t.project(n, factors)
                 if sizes[n] < t.shape[n]:
@@ -155,6 +163,28 @@ def sketch_tucker(t: Tensor, ranks: Sequence[int], oversample: int = 10, method:
     return model.truncate(ranks) if truncate else model
 
 
+def sketch_tucker_rows(t: CooTensor, ranks: Sequence[int], oversample: int = 10, seed: int = 1, how: str = "gram", mode_order: Sequence[int] | None = None) -> tuple[list[DataFrame], np.ndarray]:
+    """The sequential sketch for modes of any length: bases are rows (i, f) that never leave the executors; the core is returned.
+
+    A sketch is one sum of cells by index, its basis a Gram of the rows and a projection, and the tensor shrinks by a join with
+    the basis rows. Only Grams and the core are on the driver. Rows without any cell are absent (their basis row is zero).
+    """
+    from ..sources.storage import stored
+    from .algebra import sketch_rows, ttm
+    from .orth import orth_rows
+
+    sizes = sketch_sizes(t.shape, ranks, oversample)
+    bases: list[DataFrame | None] = [None] * t.order
+    x = t
+    for n in mode_order or sorted(range(t.order), key=lambda n: sizes[n] / t.shape[n]):
+        z = stored(sketch_rows(x.df, n, sizes[n], seed + 101 * n))
+        bases[n] = stored(orth_rows(z, how))
+        width = len(bases[n].first()["f"])
+        t.passes.reads += 2
+        x = CooTensor(ttm(x.df, bases[n], n, width), tuple(width if k == n else s for k, s in enumerate(x.shape)), t.passes).kept()
+    return bases, x.dense()
+
+
 def hosvd(t: Tensor, ranks: Sequence[int], sequential: bool = False) -> TuckerModel:
     """Leading eigenvectors of the Gram of each unfolding, of the tensor itself or of what earlier modes left."""
     reads, norm2, factors, x = t.passes.reads, t.norm2(), [], t

@@ -23,6 +23,23 @@ def source(spark: SparkSession, sf_dir: str, table: str = "events", files: int =
     return rows.withColumn("ts", F.col("ts").cast("timestamp")) if "ts" in rows.columns else rows
 
 
+def in_files(spark: SparkSession, parts: list[DataFrame]) -> DataFrame:
+    """A stream that reads one part a micro-batch, in order: each part is a file, written after the one before."""
+    path = new_path(spark, "arrivals")
+    for part in parts:
+        part.coalesce(1).write.mode("append").parquet(path)
+    rows = spark.readStream.schema(parts[0].schema).option("maxFilesPerTrigger", 1).parquet(path)
+    return rows.withColumn("ts", F.col("ts").cast("timestamp"))
+
+
+def by_day(events: DataFrame, files: int = 5) -> list[DataFrame]:
+    """Events cut into parts of equal spans of time."""
+    first, last = events.agg(F.min("ts"), F.max("ts")).first()
+    cuts = [first + (last - first) * k / files for k in range(1, files)]
+    bounds = [None, *cuts, None]
+    return [events.filter((F.lit(a is None) | (F.col("ts") >= F.lit(a))) & (F.lit(b is None) | (F.col("ts") < F.lit(b)))) for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
+
+
 def _plain(time: Column) -> Column:
     return time.cast("timestamp_ntz").alias("start")
 

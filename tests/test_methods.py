@@ -88,3 +88,37 @@ def test_entry_and_queries(spark):
 
     assert entry.entry(spark).count() > 0
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_bases_of_long_modes_stay_rows(spark, monkeypatch):
+    """Beyond what the driver may hold the gathered sketch refuses, and the row-wise one goes on."""
+    import numpy as np
+    import pytest
+
+    from multiway.operators import tensors, tucker
+    from multiway.operators.orth import gram_rows
+
+    random = np.random.default_rng(0)
+    x = np.einsum("ar,br,cr->abc", *(random.standard_normal((s, 2)) for s in (40, 9, 8)))
+    rows = [(a, b, c, float(x[a, b, c])) for a in range(40) for b in range(9) for c in range(8)]
+    t = tensors.CooTensor(spark.createDataFrame(rows, "i1 long, i2 long, i3 long, v double"), x.shape)
+    monkeypatch.setattr(tensors, "DRIVER_NUMBERS", 150)
+    with pytest.raises(ValueError, match="row-wise"):
+        tucker.sketch_tucker(t, [2, 2, 2], 2, "two_sweep")
+    bases, core = tucker.sketch_tucker_rows(t, [2, 2, 2], 2)
+    assert all(np.allclose(gram_rows(b), np.eye(core.shape[n])) for n, b in enumerate(bases))
+    assert np.isclose((core**2).sum(), (x**2).sum())
+
+
+def test_power_steps_add_no_pass(spark):
+    import numpy as np
+
+    from multiway.functions.counter import gauss
+    from multiway.operators import tucker
+    from multiway.sources import synth
+
+    fs = [gauss(n, np.ix_(np.arange(30), np.arange(3))) for n in range(3)]
+    plain, truth = synth.cp_tensor(spark, fs, 5.0)
+    t = plain.kept()
+    one, two = (tucker.sketch_tucker(t, [3] * 3, 4, "two_sweep", power=k) for k in (0, 1))
+    assert one.stats["passes"] == two.stats["passes"] and two.fit() > one.fit()
