@@ -115,18 +115,27 @@ class LicenceModel:
         return len(lines), found
 
 
+def largest_square(x: np.ndarray, steps: int = 60) -> float:
+    """Square of the largest singular value of a nonnegative matrix, by power steps from the row sums."""
+    v = x.T @ x.sum(1)
+    for _ in range(steps):
+        v = x.T @ (x @ (v / max(np.linalg.norm(v), 1e-300)))
+    return float(np.linalg.norm(v))
+
+
 def softmax_l1(x: np.ndarray, y: np.ndarray, classes: int, penalty: float = 2e-4, steps: int = 400) -> np.ndarray:
-    """Weights by accelerated proximal gradient; the intercepts (last row) are not penalised."""
-    x = np.hstack([x, np.ones((len(x), 1))])
-    target = np.eye(classes)[y]
-    rate = 4 * len(x) / max(1.0, np.linalg.norm(x, 2) ** 2)
+    """Weights by accelerated proximal gradient; the intercepts (last row) are not penalised. Equal rows count as one with a weight."""
+    n = len(x)
+    _, first, counts = np.unique(np.hstack([np.packbits(x > 0, axis=1), y[:, None].astype(np.uint8)]), axis=0, return_index=True, return_counts=True)
+    x, target, share = np.hstack([x[first], np.ones((len(first), 1))]).astype(float), np.eye(classes)[y[first]], counts[:, None] / n
+    rate = 4 / max(1.0 / n, largest_square(x * np.sqrt(share)))
     w = z = np.zeros((x.shape[1], classes))
     momentum = 1.0
     for _ in range(steps):
         s = x @ z
         p = np.exp(s - s.max(1, keepdims=True))
         p /= p.sum(1, keepdims=True)
-        new = z - rate * (x.T @ (p - target)) / len(x)
+        new = z - rate * (x.T @ ((p - target) * share))
         new[:-1] = np.sign(new[:-1]) * np.maximum(np.abs(new[:-1]) - rate * penalty, 0)
         following = (1 + np.sqrt(1 + 4 * momentum**2)) / 2
         z = new + (momentum - 1) / following * (new - w)
@@ -148,7 +157,12 @@ def fit_licences(docs: DataFrame, docs_limit: int = SAMPLE_DOCS, lines_limit: in
     sources = [(k, tokens(t)) for k, texts in enumerate([*TEMPLATES.values(), FOREIGN]) for t in texts]
     # A line that is (nearly) a template must not teach the model that it is plain text.
     known = [n_grams(words, 2) for _, words in sources]
-    plain = [w for line in sample_lines(docs, docs_limit, lines_limit) if (w := tokens(line)) and max(len(n_grams(w, 2) & k) / len(k) for k in known) < 0.4]
+    plain = []
+    for line in sample_lines(docs, docs_limit, lines_limit):
+        words = tokens(line)
+        own = n_grams(words, 2)
+        if words and max(len(own & k) / len(k) for k in known) < 0.4:
+            plain.append(words)
     # The held part: the last template of each family that has three, each fourth notice, decoy and line.
     rows, labels, held = [], [], []
 
