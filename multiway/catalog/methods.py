@@ -280,6 +280,29 @@ _table("baselines_w4_200", lambda spark, d: W.w4_nonneg_table(spark, d, ((3, 200
 })
 
 
+#: Six modes: with p=10 a core would have 15^6 numbers for 20^6 cells, so the oversampling is 3 there.
+_table("fit_table_w3_six_way", lambda spark, d: W.w3_cp_table(spark, d, ((6, 20, 5),), direct=False, replicas=False, p=3, sweeps=0, generated=True), {
+    "compressed recovers": lambda r: r["compressed_als_best_of_5"]["fit_truth"] > 0.98,
+    "a power step helps the compression": lambda r: r["two_sweep_power_compression"]["fit_truth"] > r["two_sweep_compression"]["fit_truth"],
+    "compressed reads nothing": lambda r: r["compressed_als"]["passes"] == 0,
+})
+_table("fit_table_w4_six_way", lambda spark, d: W.w4_nonneg_table(spark, d, ((6, 20, 5),), direct=(), p=3, generated=True), {
+    "compressed multiplicative recovers": lambda r: r["compressed_mu"]["fit_truth"] > 0.98,
+    "compressed reads nothing": lambda r: r["compressed_mu"]["passes"] == r["compressed_hals"]["passes"] == 0,
+})
+
+_table("fit_table_w4_500", lambda spark, d: W.w4_nonneg_table(spark, d, ((3, 500, 20),), direct=(), generated=True), {
+    "compressed updates recover": lambda r: min(r["compressed_hals"]["fit_truth"], r["compressed_mu"]["fit_truth"]) > 0.98,
+    "compressed reads nothing": lambda r: r["compressed_mu"]["passes"] == r["compressed_hals"]["passes"] == 0,
+})
+
+
+@query("fit_table_w3_500")
+def fit_table_w3_500(spark: SparkSession, d: str) -> DataFrame:
+    """The published size N=3, I=500, R=20 at 10 dB, factors drawn from counters: compression and compressed ALS, timed apart."""
+    return W.w3_cp_table(spark, d, ((3, 500, 20),), direct=False, replicas=False, sweeps=0, generated=True)
+
+
 @query("monte_carlo_w3")
 def monte_carlo_w3(spark: SparkSession, d: str) -> DataFrame:
     """Mean, deviation and failures over the seeds of fit_table_w3."""

@@ -12,7 +12,8 @@ from pyspark.sql import functions as F
 
 from ..operators.algebra import cp_dense, gram_hadamard, multiply_all
 from ..operators.cp import CPModel
-from ..operators.tensors import BlockTensor, generated
+from ..functions.counter import gauss, uniform
+from ..operators.tensors import BlockTensor, generated, plan_grid
 from ..operators.tucker import TuckerModel
 from .tables import table
 
@@ -37,11 +38,29 @@ def exponential_factors(spark: SparkSession, sf_dir: str, order: int, size: int,
         raise ValueError(f"{need} events are needed, there are {len(rows)}")
     v = np.array([r["value"] for r in rows]).reshape(order, size, rank)
     v = np.floor(v / 40) if integer else v / 5
-    i, r = np.arange(size)[:, None], np.arange(rank)[None]
-    v[:, (31 * i + 17 * r + 7 * (i // 11)) % zeros == 0] = 0
+    v[:, _zero(size, rank, zeros)] = 0
     return list(v)
 
 
+def _zero(size: int, rank: int, zeros: int) -> np.ndarray:
+    """Which entries of a factor are zero: one in `zeros`, by a rule."""
+    i, r = np.arange(size)[:, None], np.arange(rank)[None]
+    return (31 * i + 17 * r + 7 * (i // 11)) % zeros == 0
+
+
+def drawn_factors(order: int, size: int, rank: int, kind: str = "normal", zeros: int = 10, seed: int = 900) -> list[np.ndarray]:
+    """Factors from counters, for sizes beyond what a small table holds: standard normal, or exponential with mean 10 and zeros."""
+    axes, out = np.ix_(np.arange(size), np.arange(rank)), []
+    for n in range(order):
+        if kind == "normal":
+            out.append(gauss(seed + n, axes))
+        else:
+            v = -10 * np.log1p(-uniform(seed + n, axes))
+            v[_zero(size, rank, zeros)] = 0
+            out.append(v)
+    return out
+
+
 def sigma_for(norm2: float, cells: float, snr: float | None) -> float:
     return 0.0 if snr is None else float(np.sqrt(norm2 / cells * 10 ** (-snr / 10)))
 
@@ -49,7 +68,8 @@ def sigma_for(norm2: float, cells: float, snr: float | None) -> float:
 def cp_tensor(spark: SparkSession, factors: Sequence[np.ndarray], snr: float | None = None, grid: Sequence[int] | None = None, seed: int = 1) -> tuple[BlockTensor, CPModel]:
     """Blocks of a CP model plus noise at an SNR in dB, and the model."""
     shape = [f.shape[0] for f in factors]
-    grid = grid or [min(4, shape[0]), *[1] * (len(shape) - 1)]
+    least = plan_grid(shape)
+    grid = grid or [max(min(4, shape[0]), least[0]), *least[1:]]
     norm2 = float(gram_hadamard([f.T @ f for f in factors]).sum())
 
     def make(lo: list[int], dims: list[int]) -> np.ndarray:

@@ -86,11 +86,13 @@ def w2_sketch_fit(spark, sf_dir, size=100, rank=5, p=5, snrs=(0, 10, 20), seeds=
     return log.frame(spark)
 
 
-def w3_cp_table(spark, sf_dir, configs=((3, 60, 5),), snr=10.0, seeds=(0,), direct=True, replicas=True, p=10, sweeps=2):
-    """CP methods at one SNR: fit to the truth, seconds and iterations under one stopping rule."""
+def w3_cp_table(spark, sf_dir, configs=((3, 60, 5),), snr=10.0, seeds=(0,), direct=True, replicas=True, p=10, sweeps=2, generated=False):
+    """CP methods at one SNR: fit to the truth, seconds and iterations under one stopping rule.
+
+    generated: factors are drawn from counters, not read from the tables."""
     log = Log("w3")
     for order, size, rank in configs:
-        fs = synth.normal_factors(spark, sf_dir, order, size, rank)
+        fs = synth.drawn_factors(order, size, rank) if generated else synth.normal_factors(spark, sf_dir, order, size, rank)
         for s in seeds:
             t, truth = synth.cp_tensor(spark, fs, snr, seed=300 + s)
             t, config = t.kept(), f"N={order} I={size} R={rank} snr={snr}"
@@ -111,11 +113,13 @@ def w3_cp_table(spark, sf_dir, configs=((3, 60, 5),), snr=10.0, seeds=(0,), dire
     return log.frame(spark)
 
 
-def w4_nonneg_table(spark, sf_dir, configs=((3, 60, 5),), snr=10.0, seeds=(0,), direct=("mu", "hals"), p=10):
-    """Nonnegative CP methods: multiplicative and column-wise updates, direct and compressed, under one stopping rule."""
+def w4_nonneg_table(spark, sf_dir, configs=((3, 60, 5),), snr=10.0, seeds=(0,), direct=("mu", "hals"), p=10, generated=False):
+    """Nonnegative CP methods: multiplicative and column-wise updates, direct and compressed, under one stopping rule.
+
+    generated: factors are drawn from counters, not read from the tables."""
     log = Log("w4")
     for order, size, rank in configs:
-        fs = synth.exponential_factors(spark, sf_dir, order, size, rank)
+        fs = synth.drawn_factors(order, size, rank, "exponential") if generated else synth.exponential_factors(spark, sf_dir, order, size, rank)
         for s in seeds:
             t, truth = synth.cp_tensor(spark, fs, snr, seed=400 + s)
             t, config = t.kept(), f"N={order} I={size} R={rank} snr={snr}"

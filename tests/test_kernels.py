@@ -97,3 +97,24 @@ def test_assignment_is_optimal():
     cost = np.random.default_rng(4).random((5, 6))
     best = min(sum(cost[i, p[i]] for i in range(5)) for p in permutations(range(6), 5))
     assert np.isclose(cost[np.arange(5), assignment(cost)].sum(), best)
+
+
+def test_drawn_factors_are_fixed_and_have_the_planted_shape():
+    from multiway.sources import synth
+
+    a, b = synth.drawn_factors(3, 400, 5), synth.drawn_factors(3, 400, 5)
+    assert all((x == y).all() for x, y in zip(a, b, strict=True)) and not (a[0] == a[1]).any()
+    assert abs(np.mean(a)) < 0.1 and abs(np.std(a) - 1) < 0.1
+    e = np.array(synth.drawn_factors(3, 400, 5, "exponential"))
+    zero = e == 0
+    assert (e >= 0).all() and abs(zero.mean() - 0.1) < 0.02 and abs(e[~zero].mean() - 10) < 1
+
+
+def test_planted_blocks_stay_small(spark):
+    from multiway.sources import synth
+
+    t, _ = synth.cp_tensor(spark, synth.drawn_factors(3, 500, 2))
+    assert t.df.rdd.getNumPartitions() == 32
+    t, truth = synth.cp_tensor(spark, synth.drawn_factors(3, 12, 2))
+    assert t.df.rdd.getNumPartitions() == 4
+    assert abs(t.norm2() - (np.einsum("ir,jr,kr->ijk", *truth.factors) ** 2).sum()) < 1e-6
