@@ -122,3 +122,16 @@ def test_power_steps_add_no_pass(spark):
     t = plain.kept()
     one, two = (tucker.sketch_tucker(t, [3] * 3, 4, "two_sweep", power=k) for k in (0, 1))
     assert one.stats["passes"] == two.stats["passes"] and two.fit() > one.fit()
+
+
+def test_event_factors_travel_as_columns(spark, sf, monkeypatch):
+    from multiway.sources.synth import exponential_factors, placed
+
+    rows = {r["event_id"]: r["value"] for r in spark.read.parquet(f"{sf}/events.parquet").select("event_id", "value").collect()}
+    monkeypatch.setattr("pyspark.sql.classic.dataframe.DataFrame.collect", lambda self: pytest.fail("row objects on the driver"))
+    fs = exponential_factors(spark, sf, 2, 40, 5)
+    want = np.array([rows[k] / 5 for k in range(400)]).reshape(2, 40, 5)
+    assert all(((f == 0) | np.isclose(f, w)).all() and (f == 0).mean() < 0.2 for f, w in zip(fs, want, strict=True))
+    for places in ([0, 1, 1], [0, 1], [0, 1, 3], [0, 1, -1]):
+        with pytest.raises(ValueError):
+            placed(spark.createDataFrame([(k, 1.0) for k in places], "k long, v double"), 3)
