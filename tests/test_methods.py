@@ -135,3 +135,12 @@ def test_event_factors_travel_as_columns(spark, sf, monkeypatch):
     for places in ([0, 1, 1], [0, 1], [0, 1, 3], [0, 1, -1]):
         with pytest.raises(ValueError):
             placed(spark.createDataFrame([(k, 1.0) for k in places], "k long, v double"), 3)
+
+
+def test_column_sweeps_in_blocks_equal_plain_ones(monkeypatch):
+    monkeypatch.setattr(cp, "BLOCK_ROWS", 7)
+    random = np.random.default_rng(3)
+    form = tucker.TuckerModel.from_cp([random.exponential(size=(s, 3)) for s in (20, 15, 9)])
+    got, want = cp.compressed_cp(form, 3, "hals", max_iter=25, tol=0), cp.fit_cp(cp.TuckerSource(form), 3, "hals", init="uniform", max_iter=25, tol=0)
+    assert np.allclose(got.history, want.history) and got.stats["iterations"] == 25
+    assert all(np.allclose(a, b) for a, b in zip(got.factors, want.factors, strict=True))
