@@ -118,3 +118,21 @@ def test_planted_blocks_stay_small(spark):
     t, truth = synth.cp_tensor(spark, synth.drawn_factors(3, 12, 2))
     assert t.df.rdd.getNumPartitions() == 4
     assert abs(t.norm2() - (np.einsum("ir,jr,kr->ijk", *truth.factors) ** 2).sum()) < 1e-6
+
+
+def test_bigrams_of_odd_texts_and_repeated_ids(spark):
+    from pyspark.sql import functions as F
+
+    from multiway.sources.tables import bigrams
+
+    rows = [(1, "Abéz"), (1, "ab"), (None, "xy"), (None, "XY€\U0001f600"), (2, ""), (3, None), (4, "q"), (5, "z" * 70_000)]
+    docs = spark.createDataFrame(rows, "doc_id int, text string").repartition(3)
+    want: dict = {}
+    for k, t in rows:
+        c = ["abcdefghijklmnopqrstuvwxyz".find(x) % 27 for x in (t or "").lower()]
+        for pair in zip(c, c[1:]):
+            want[k, *pair] = want.get((k, *pair), 0) + 1
+    got = bigrams(docs, "doc_id")
+    assert {(r["id"], r["a"], r["b"]): r["n"] for r in got.collect()} == want and got.schema["id"].dataType.simpleString() == "int"
+    plan = got.select(F.col("id"))._jdf.queryExecution().toString()
+    assert "Generate explode" not in plan  # characters don't become rows
