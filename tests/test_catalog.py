@@ -4,6 +4,7 @@ import math
 
 import duckdb
 import pytest
+from pyspark.errors import AnalysisException
 
 from multiway.catalog import ORACLE, QUERIES
 
@@ -53,3 +54,13 @@ def test_larger_query_equals_sql(spark, name):
 @pytest.mark.parametrize("name", ["sst_recover", "tst_recover", "dst_lazy_recover", "ccp_hals_recover", "amr_recover"])
 def test_recovery_equals_sql(spark, sf, sql, name):
     test_query_equals_sql(spark, sf, sql, name)
+
+
+#: Queries that once made their data up.
+FROM_TABLES = ("claims_huge_w7_generated",)
+
+
+@pytest.mark.parametrize("name", FROM_TABLES)
+def test_query_needs_its_tables(spark, tmp_path, name):
+    with pytest.raises(AnalysisException):
+        QUERIES[name](spark, str(tmp_path)).collect()
