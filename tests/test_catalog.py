@@ -57,7 +57,7 @@ def test_recovery_equals_sql(spark, sf, sql, name):
 
 
 #: Queries that once made their data up.
-FROM_TABLES = ("claims_huge_w7_generated", "cross_gram", "gram", "gram_hadamard", "gram_rows", "huge_w7_generated", "khatri_rao")
+FROM_TABLES = ("claims_huge_w7_generated", "cross_gram", "gram", "gram_hadamard", "gram_rows", "huge_w7_generated", "khatri_rao", "kronecker")
 
 
 @pytest.mark.parametrize("name", FROM_TABLES)
