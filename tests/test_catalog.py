@@ -57,7 +57,7 @@ def test_recovery_equals_sql(spark, sf, sql, name):
 
 
 #: Queries that once made their data up.
-FROM_TABLES = ("claims_huge_w7_generated", "cross_gram", "gaussian_moments", "gram", "gram_hadamard", "gram_rows", "huge_w7_generated", "ind2sub_grid", "khatri_rao", "kronecker")
+FROM_TABLES = ("claims_huge_w7_generated", "cost_model", "cross_gram", "gaussian_moments", "gram", "gram_hadamard", "gram_rows", "huge_w7_generated", "ind2sub_grid", "khatri_rao", "kronecker")
 
 
 @pytest.mark.parametrize("name", FROM_TABLES)
