@@ -3,6 +3,7 @@
 import math
 
 import duckdb
+import pyarrow.parquet as pq
 import pytest
 from pyspark.errors import AnalysisException
 
@@ -64,3 +65,16 @@ FROM_TABLES = ("claims_huge_w7_generated", "cost_model", "cross_gram", "gaussian
 def test_query_needs_its_tables(spark, tmp_path, name):
     with pytest.raises(AnalysisException):
         QUERIES[name](spark, str(tmp_path)).collect()
+
+
+@pytest.mark.parametrize("first, then", [("claims_huge_w7_generated", "huge_w7_generated"), ("huge_w7_generated", "claims_huge_w7_generated")])
+def test_query_reads_its_tables_after_another(spark, sf, tmp_path, first, then):
+    """Nothing is left of what the query beside it found: it fails where the orders have gone, and sees those that have come."""
+    orders = pq.read_table(f"{sf}/orders.parquet")
+    pq.write_table(orders, tmp_path / "orders.parquet")
+    QUERIES[first](spark, str(tmp_path)).collect()
+    pq.write_table(orders.slice(0, 1000), tmp_path / "orders.parquet")
+    assert {r["config"] for r in QUERIES["huge_w7_generated"](spark, str(tmp_path)).collect()} == {"25^4 R=10"}
+    (tmp_path / "orders.parquet").unlink()
+    with pytest.raises(AnalysisException):
+        QUERIES[then](spark, str(tmp_path)).collect()

@@ -192,3 +192,19 @@ def test_kmeans_beyond_twenty_thousand_rows_stays_with_the_best_start(spark):
     assert len(set(zip(own, truth))) == 5 and peak < 4 * x.nbytes  # rows x clusters x columns would be 5 x
     found = {r["i"]: r["cluster"] for r in cluster.kmeans(spark, x, 5).collect()}
     assert [found[i] for i in range(30_000)] == own.tolist()
+
+
+def test_order_factors_are_drawn_by_every_whole_order(spark, tmp_path):
+    from multiway.functions.counter import P, mix
+    from multiway.sources.synth import _zero, order_factors
+
+    keys = np.random.default_rng(3).permutation(47)
+    rows = [(int(k), int(k) % 7, 100.25 + int(k)) for k in keys]
+    odd = [(None, 1, 2.0), (50, None, 2.0), (51, 1, None), (52, 1, float("nan")), (53, 1, float("inf"))]
+    spark.createDataFrame(rows + odd, "o_orderkey long, o_custkey long, o_totalprice double").repartition(5).write.parquet(f"{tmp_path}/orders.parquet")
+    k = np.arange(40)
+    v = (-10 * np.log((mix(70, [k, k % 7, 10025 + 100 * k]) + 0.5) / P)).reshape(2, 5, 4)
+    v[:, _zero(5, 4, 5)] = 0
+    assert np.allclose(order_factors(spark, str(tmp_path), 2, 4), v, rtol=1e-12, atol=0)
+    with pytest.raises(ValueError):
+        order_factors(spark, str(tmp_path), 4, 12)
