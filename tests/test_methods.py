@@ -208,3 +208,50 @@ def test_order_factors_are_drawn_by_every_whole_order(spark, tmp_path):
     assert np.allclose(order_factors(spark, str(tmp_path), 2, 4), v, rtol=1e-12, atol=0)
     with pytest.raises(ValueError):
         order_factors(spark, str(tmp_path), 4, 12)
+
+
+def test_tall_factors_in_files_give_the_same_clusters(spark, sf, monkeypatch):
+    """Every form of the text workload with document factors in a file of the driver, in blocks, as with whole matrices."""
+    from multiway import workloads as W
+    from multiway.operators import tall
+
+    sizes = {"ranks": (4, 4, 4), "sizes": (6, 6, 6), "plane": ("two_sweep",), "max_iter": 12}
+    want = W.w8_text_clustering(spark, sf, **sizes).collect()
+    monkeypatch.setattr(tall, "TALL_ROWS", 150)
+    monkeypatch.setattr(tall, "BLOCK_ROWS", 64)
+    # Neither a matrix of the documents' rows nor an identity of their number is made on the driver.
+    whole, pieces, eye = tall.Tall.gathered, [], np.eye
+    monkeypatch.setattr(tall.Tall, "gathered", classmethod(lambda cls, *a: pieces.append(a[1:3]) or whole(*a)))
+    monkeypatch.setattr(np, "eye", lambda n, *a, **k: eye(n, *a, **k) if n <= 150 else pytest.fail(f"an identity of {n} rows"))
+    got = W.w8_text_clustering(spark, sf, **{**sizes, "plane": ()}).collect()
+    assert pieces and all(rows == 200 and width <= 10 for rows, width in pieces)
+    by = {r["method"]: r for r in want}
+    for r in got:
+        w = by[r["method"]]
+        assert r["iterations"] == w["iterations"] and (r["passes"] or 0) <= (w["passes"] or 0) + 6
+        assert (r["fit_obs"] is None and w["fit_obs"] is None) or abs(r["fit_obs"] - w["fit_obs"]) < 1e-6
+        assert abs(r["accuracy"] - w["accuracy"]) < 0.02
+    assert len(got) == len(want) - 1
+
+
+def test_tall_matrix_answers_as_an_array(spark, monkeypatch):
+    from multiway.operators import cluster, tall
+
+    monkeypatch.setattr(tall, "BLOCK_ROWS", 16)
+    random = np.random.default_rng(4)
+    x, w, v = random.standard_normal((50, 4)), random.standard_normal((4, 3)), random.uniform(1, 2, 3)
+    a = tall.Tall.made(50, 4, lambda at: x[at])
+    b = a @ w
+    assert b.shape == (50, 3) and np.allclose(b.whole(), x @ w) and np.allclose(list(b * v), x @ w * v)
+    assert np.allclose(b.T @ b, w.T @ x.T @ x @ w) and np.allclose(a.T @ b, x.T @ x @ w) and np.allclose(tall.norms(b / v), np.linalg.norm(x @ w / v, axis=0))
+    c = (tall.Tall.made(50, 4, lambda at: x[at]) * np.arange(1.0, 5)).step(b, lambda p, q: p + q[:, :1])
+    y = x * np.arange(1, 5) + (x @ w)[:, :1]
+    assert np.allclose(c.whole(), y) and np.allclose(c.T @ c, y.T @ y) and np.allclose(b.T @ c, (x @ w).T @ y)
+    half = c / np.full(4, 2.0)
+    assert np.allclose(half.T @ half, y.T @ y / 4) and np.allclose(half.T @ b, y.T @ x @ w / 2)
+    assert (cluster.lloyd(a, 3) == cluster.lloyd(x, 3)).all()
+    assert cluster.kmeans(spark, a, 3, driver_rows=20).orderBy("i").toPandas()["cluster"].tolist() == cluster.lloyd(x, 3).tolist()
+    p, q = cluster.plane(a, limit=20).whole(), cluster.plane(x, limit=20)
+    assert np.allclose(np.abs(p), np.abs(q))
+    with pytest.raises(ValueError, match="kernel"):
+        a.sent((50, 2, 2))
