@@ -255,3 +255,13 @@ def test_tall_matrix_answers_as_an_array(spark, monkeypatch):
     assert np.allclose(np.abs(p), np.abs(q))
     with pytest.raises(ValueError, match="kernel"):
         a.sent((50, 2, 2))
+
+
+def test_labels_are_no_row_objects_of_the_driver(spark):
+    from multiway.operators import cluster
+
+    key, x = "spark.sql.execution.arrow.localRelationThreshold", np.repeat([[0.0], [5.0]], 30, 0)
+    before = spark.conf.get(key, None)
+    found = cluster.kmeans(spark, x, 2)
+    assert "LocalTableScan" not in found._jdf.queryExecution().executedPlan().toString()
+    assert found.count() == 60 and spark.conf.get(key, None) == before
